@@ -10,12 +10,31 @@ from pyspark.sql import functions as F
 from multiagg.llm.common import load
 
 
+def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from multiagg.llm.packing import pack
+
+    pieces = pack(load(spark, sf_dir, "documents"))
+    return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
+
+
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from multiagg.llm.pii import span_digests
+
+    return span_digests(load(spark, sf_dir, "documents"))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from multiagg.llm.exact_dedup import exact_groups
 
     return exact_groups(load(spark, sf_dir, "documents")).drop("body_key")
 
 
+def op7_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from multiagg.llm.byte_bpe import digests
+
+    return digests(load(spark, sf_dir, "documents"))
+
+
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from multiagg.llm.quality_rules import ledger, passes
 
@@ -27,7 +46,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op5_exact_dedup, op9_quality_rules)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_packing, op3_pii, op5_exact_dedup, op7_byte_bpe, op9_quality_rules)}
 
 ORACLE_SQL: dict[str, str] = {
     "op5_exact_dedup": """
