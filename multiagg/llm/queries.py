@@ -10,6 +10,12 @@ from pyspark.sql import functions as F
 from multiagg.llm.common import load
 
 
+def op1_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from multiagg.llm.ngram_join import near_duplicates
+
+    return near_duplicates(load(spark, sf_dir, "documents")).drop("body_key")
+
+
 def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from multiagg.llm.packing import pack
 
@@ -46,7 +52,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_packing, op3_pii, op5_exact_dedup, op7_byte_bpe, op9_quality_rules)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_ngram_join, op2_packing, op3_pii, op5_exact_dedup, op7_byte_bpe, op9_quality_rules)}
 
 ORACLE_SQL: dict[str, str] = {
     "op5_exact_dedup": """
