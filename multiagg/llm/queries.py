@@ -29,6 +29,12 @@ def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return span_digests(load(spark, sf_dir, "documents"))
 
 
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from multiagg.llm.suffix_dedup import removal_digests
+
+    return removal_digests(load(spark, sf_dir, "documents"))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from multiagg.llm.exact_dedup import exact_groups
 
@@ -52,7 +58,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_ngram_join, op2_packing, op3_pii, op5_exact_dedup, op7_byte_bpe, op9_quality_rules)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_ngram_join, op2_packing, op3_pii, op4_suffix_dedup, op5_exact_dedup, op7_byte_bpe, op9_quality_rules)}
 
 ORACLE_SQL: dict[str, str] = {
     "op5_exact_dedup": """
