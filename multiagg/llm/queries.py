@@ -58,7 +58,13 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_ngram_join, op2_packing, op3_pii, op4_suffix_dedup, op5_exact_dedup, op7_byte_bpe, op9_quality_rules)}
+def op10_pitman_yor(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from multiagg.llm.pitman_yor import score_documents
+
+    return score_documents(load(spark, sf_dir, "documents"))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_ngram_join, op2_packing, op3_pii, op4_suffix_dedup, op5_exact_dedup, op7_byte_bpe, op9_quality_rules, op10_pitman_yor)}
 
 ORACLE_SQL: dict[str, str] = {
     "op5_exact_dedup": """
