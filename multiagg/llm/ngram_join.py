@@ -99,13 +99,18 @@ def groups_in(s: int, percent: int) -> int:
     return max(1, floor(start * (100 - percent) / 300))
 
 
-def signatures(tokens: np.ndarray, frequent: np.ndarray, percent: int = PERCENT) -> np.ndarray:
-    """A set's signatures: even ones are rare tokens, odd ones pairs of frequent tokens."""
+def among(tokens: np.ndarray, frequent: np.ndarray) -> np.ndarray:
+    """Which tokens are frequent."""
+    if not len(frequent):
+        return np.zeros(len(tokens), dtype=bool)
+    return frequent[np.minimum(np.searchsorted(frequent, tokens), len(frequent) - 1)] == tokens
+
+
+def signatures(tokens: np.ndarray, common: np.ndarray, percent: int = PERCENT) -> np.ndarray:
+    """A set's signatures, given which of its tokens are frequent: even ones are rare tokens, odd ones pairs of frequent tokens."""
     n = len(tokens)
     if n < least_size(percent):
         return np.zeros(0, dtype=np.int64)
-    at = np.searchsorted(frequent, tokens)
-    common = frequent[np.minimum(at, len(frequent) - 1)] == tokens if len(frequent) else np.zeros(n, dtype=bool)
     rare, often, need = tokens[~common], tokens[common], needed(n, percent)
     one, two = np.uint64(1), ~np.uint64(1)
     with np.errstate(over="ignore"):
@@ -174,9 +179,10 @@ def profiles(docs: DataFrame, frequent: np.ndarray, id_col: str, text_col: str,
             for doc, key, text in zip(frame["doc_id"], frame["body_key"], frame["text"]):
                 tokens = shingle_set(text, n)
                 name = set_name(tokens)
-                sig = np.zeros(0, np.int64) if name in seen else signatures(tokens, shared.value, percent)
+                common = np.zeros(0, bool) if name in seen else among(tokens, shared.value)
+                sig = np.zeros(0, np.int64) if name in seen else signatures(tokens, common, percent)
                 seen.add(name)
-                rows.append((doc, key, len(tokens), int(np.isin(tokens, shared.value).sum()) if len(sig) else 0, name, sig))
+                rows.append((doc, key, len(tokens), int(common.sum()), name, sig))
             yield pd.DataFrame(rows, columns=["doc_id", "body_key", "n_shingles", "n_frequent", "name", "signatures"])
 
     return _texts(docs, id_col, text_col).mapInPandas(work, f"doc_id {kind}, body_key long, n_shingles long, n_frequent long, name binary, signatures array<long>")
