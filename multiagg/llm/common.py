@@ -71,6 +71,32 @@ def read_bytes(path: str) -> bytes:
         return f.read()
 
 
+def bitmap(values: DataFrame, name: str, bits: int) -> np.ndarray:
+    """One bit for each value of a long column modulo `bits`; so many bits reach the driver at most, however many values there are."""
+    words = values.select(F.pmod(name, F.lit(bits)).alias("b")).select(F.expr("b div 64").alias("w"), F.expr("shiftleft(1L, cast(b % 64 as int))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v"))
+    out = np.zeros(bits // 64, dtype=np.int64)
+    found = words.toPandas()
+    out[found["w"].to_numpy(dtype=np.int64)] = found["v"].to_numpy(dtype=np.int64)
+    return out
+
+
+def in_bitmap(values: np.ndarray, words: np.ndarray) -> np.ndarray:
+    b = np.mod(values, len(words) * 64)
+    return (words[b // 64] >> (b % 64)) & 1 == 1
+
+
+def powers(n: int, base: int) -> np.ndarray:
+    """1, base, base**2, ... modulo 2**64."""
+    with np.errstate(over="ignore"):
+        return np.concatenate([np.ones(1, np.uint64), np.cumprod(np.full(n - 1, base, dtype=np.uint64))]) if n > 1 else np.ones(n, np.uint64)
+
+
+def distinct(values: np.ndarray) -> np.ndarray:
+    """Sorted distinct values, by a sort."""
+    values = np.sort(values)
+    return values[np.concatenate([[True], values[1:] != values[:-1]])] if len(values) else values
+
+
 def runs(lengths: np.ndarray) -> np.ndarray:
     """0..n-1 for each n of `lengths`, end to end."""
     total = int(lengths.sum())

@@ -25,17 +25,17 @@ with a null component unless a linked row has an id.
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
 from math import ceil, floor, log
 
 import numpy as np
 import pandas as pd
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from multiagg.llm.byte_bpe import worker_cache
-from multiagg.llm.common import checkpointed, col, fresh, tabled
+from multiagg.llm.common import bitmap, checkpointed, col, distinct, fresh, in_bitmap, powers, tabled
 from multiagg.llm.components import components
 
 WORDS = 4
@@ -46,32 +46,95 @@ FREQUENT = 1 << 17
 FREQUENT_FROM = 8
 SHORT_LIST = 8
 CHUNK_TOKENS = 2_000_000
-CACHE_WORDS = 400_000
+#: Texts are hashed in segments of about so many bytes.
+SEGMENT = 1 << 20
+#: Bits of the bitmaps that say which signatures are repeated, and which rows' sets are asked for.
+BITMAP_BITS = 1 << 25
 #: Fixed odd multipliers of the hashes.
 MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63], dtype=np.uint64)
 
 
+LETTERS = np.random.default_rng(4211).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
+LOWER = np.arange(256, dtype=np.uint8)
+LOWER[65:91] += 32
+LOWER[9:14] = 32
+SPACE = re.compile(rb"[\x20\x09-\x0D]")
+
+
 def mixed(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
     return x ^ (x >> np.uint64(31))
 
 
-def shingle_set(text: str | None, n: int = WORDS) -> np.ndarray:
-    """Sorted distinct hashes of the text's shingles; letters A-Z are lowered, words end at ASCII white space."""
-    words = (text or "").encode("utf-8", "replace").lower().split()
-    if not words:
-        return np.zeros(0, dtype=np.uint64)
-    cache = worker_cache("word hashes", CACHE_WORDS)
-    for w in set(words).difference(cache):
-        cache[w] = xxhash.xxh3_64_intdigest(w)
-    h = np.fromiter(map(cache.__getitem__, words), dtype=np.uint64, count=len(words))
-    k = min(n, len(h))
+def word_hashes(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words of some bytes, and where each starts; letters A-Z are lowered, words end at ASCII white space."""
+    hashes, starts, at = [], [], 0
+    while at < len(raw):
+        stop = len(raw)
+        if stop - at > SEGMENT:
+            cut = SPACE.search(raw, at + SEGMENT)
+            stop = cut.end() if cut else stop
+        data = LOWER[np.frombuffer(raw, np.uint8, stop - at, at)]
+        inside = np.concatenate([[0], data != 32, [0]]).astype(np.int8)
+        edge = np.diff(inside)
+        first, last = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+        power, back = word_powers(len(data) + 1)
+        with np.errstate(over="ignore"):
+            sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(LETTERS[data] * power[: len(data)])])
+            hashes.append(mixed((sums[last] - sums[first]) * back[first] + (last - first).astype(np.uint64) * MIX[2]))
+        starts.append(first + at)
+        at = stop
+    return (np.concatenate(hashes), np.concatenate(starts)) if hashes else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+
+
+def word_powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    held = worker_cache("word powers", 8)
+    if "size" not in held or held["size"] < n:
+        size = max(n, SEGMENT + 4096)
+        held.update(size=size, tables=(powers(size, int(MIX[0])), powers(size, pow(int(MIX[0]), -1, 1 << 64))))
+    power, back = held["tables"]
+    return power[:n], back[:n]
+
+
+def shingle_sets(texts, n: int = WORDS) -> list[np.ndarray]:
+    """Sorted distinct hashes of each text's shingles; many texts are hashed together."""
+    out: list[np.ndarray] = []
+    held, size = [], 0
+    for text in texts:
+        raw = (text or "").encode("utf-8", "replace")
+        held.append(raw)
+        size += len(raw)
+        if size >= SEGMENT // 2:
+            out += _sets(held, n)
+            held, size = [], 0
+    return out + (_sets(held, n) if held else [])
+
+
+def _sets(raws: list[bytes], n: int) -> list[np.ndarray]:
+    h, start = word_hashes(b" ".join(raws))
+    ends = np.cumsum([len(r) + 1 for r in raws])
+    cut = np.searchsorted(start, ends)
     with np.errstate(over="ignore"):
-        total = np.full(len(h) - k + 1, k, dtype=np.uint64)
-        for i in range(k):
-            total = (total + h[i : len(h) - k + 1 + i]) * (MIX[i % 5] + np.uint64(2 * i))
-        return np.unique(mixed(total))
+        total = np.full(max(len(h) - n + 1, 0), n, dtype=np.uint64)
+        for i in range(n):
+            total = (total + h[i : len(h) - n + 1 + i]) * MIX[i % 5] + np.uint64(i + 1)
+    whole = mixed(total)
+    out, low = [], 0
+    for i, high in enumerate(cut.tolist()):
+        k = high - low
+        if k >= n:
+            out.append(distinct(whole[low : high - n + 1]))
+        elif k:
+            with np.errstate(over="ignore"):
+                short = np.array([k], dtype=np.uint64)
+                for j in range(k):
+                    short = (short + h[low + j]) * MIX[j % 5] + np.uint64(j + 1)
+            out.append(mixed(short + MIX[1]))
+        else:
+            out.append(np.zeros(0, dtype=np.uint64))
+        low = high
+    return out
 
 
 def set_name(tokens: np.ndarray) -> bytes:
@@ -127,7 +190,7 @@ def signatures(tokens: np.ndarray, common: np.ndarray, percent: int = PERCENT) -
                 for part in np.split(chosen[order], np.flatnonzero(np.diff(group[order])) + 1):
                     i, j = np.triu_indices(len(part), 1)
                     out.append(mixed(part[i] * MIX[0] + part[j] * MIX[1] + np.uint64(s)) | one)
-    return np.unique(np.concatenate(out)).view(np.int64)
+    return (distinct(np.concatenate(out)) if len(out) > 1 else out[0]).view(np.int64)
 
 
 def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -145,12 +208,13 @@ def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, mos
         held, size, seen = [], 0, set()
 
         def counted() -> pd.DataFrame:
-            tokens, times = np.unique(np.concatenate(held), return_counts=True) if held else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-            return pd.DataFrame({"token": tokens[times > 1].view(np.int64), "times": times[times > 1].astype(np.int64)})
+            tokens = np.sort(np.concatenate(held)) if held else np.zeros(0, np.uint64)
+            again = np.flatnonzero(np.concatenate([[False], tokens[1:] == tokens[:-1]]))
+            repeated = distinct(tokens[again])
+            return pd.DataFrame({"token": repeated.view(np.int64), "times": np.searchsorted(tokens, repeated, "right") - np.searchsorted(tokens, repeated)})
 
         for frame in frames:
-            for text in frame["text"]:
-                tokens = shingle_set(text, n)
+            for tokens in shingle_sets(frame["text"], n):
                 name = set_name(tokens)
                 if name in seen:
                     continue
@@ -176,8 +240,7 @@ def profiles(docs: DataFrame, frequent: np.ndarray, id_col: str, text_col: str,
         seen: set[bytes] = set()
         for frame in frames:
             rows = []
-            for doc, key, text in zip(frame["doc_id"], frame["body_key"], frame["text"]):
-                tokens = shingle_set(text, n)
+            for doc, key, tokens in zip(frame["doc_id"], frame["body_key"], shingle_sets(frame["text"], n)):
                 name = set_name(tokens)
                 common = np.zeros(0, bool) if name in seen else among(tokens, shared.value)
                 sig = np.zeros(0, np.int64) if name in seen else signatures(tokens, common, percent)
@@ -189,15 +252,23 @@ def profiles(docs: DataFrame, frequent: np.ndarray, id_col: str, text_col: str,
 
 
 def sets_of(docs: DataFrame, profiled: DataFrame, names: DataFrame, id_col: str, text_col: str, n: int) -> DataFrame:
-    """(name, tokens) of the asked sets, from the text of one row each."""
-    chosen = checkpointed(profiled.join(names, "name", "left_semi").groupBy("name").agg(F.min(F.struct("doc_id", "body_key")).alias("row")).select("name", F.col("row.doc_id").alias("d"), F.col("row.body_key").alias("k")))
-    texts = _texts(docs, id_col, text_col).join(chosen, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("body_key") == F.col("k"))).select("name", "text")
+    """(name, tokens) of the asked sets, from one row each.
+
+    The texts are scanned once more and not shuffled: a bitmap of the asked rows, of fixed size, is broadcast. It lets a few others through, which nothing asks for.
+    """
+    chosen = profiled.join(names, "name", "left_semi").groupBy("name").agg(F.min(F.struct("doc_id", "body_key")).alias("row"))
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap(chosen.select(F.xxhash64("row.doc_id", "row.body_key").alias("r")), "r", BITMAP_BITS))
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            yield pd.DataFrame({"name": frame["name"], "tokens": [shingle_set(t, n).tobytes() for t in frame["text"]]})
+            asked = frame["text"][in_bitmap(frame["r"].to_numpy(dtype=np.int64), shared.value)]
+            sets = shingle_sets(asked, n)
+            yield pd.DataFrame({"name": [set_name(s) for s in sets], "tokens": [s.tobytes() for s in sets]})
 
-    return texts.mapInPandas(work, "name binary, tokens binary").dropDuplicates(["name"])
+    rows = _texts(docs, id_col, text_col).select(F.xxhash64("doc_id", "body_key").alias("r"), "text")
+    made = tabled(rows.mapInPandas(work, "name binary, tokens binary"), "sets")
+    again = made.groupBy("name").agg(F.count("*").alias("times")).where("times > 1")
+    return made if again.isEmpty() else made.dropDuplicates(["name"])
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -225,37 +296,65 @@ def _may_link(percent: int) -> str:
 
 
 def _pairs(left: DataFrame, right: DataFrame, percent: int, extra: str = "true") -> DataFrame:
-    return left.join(right, "sig").where(f"x <> y and {extra} and {_may_link(percent)}").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).distinct()
+    """Pairs that share a signature and may link, the greater name as x."""
+    return left.join(right, "sig").where(f"x <> y and {extra} and {_may_link(percent)}").select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).distinct()
+
+
+def _bounded(pairs: DataFrame, prefixes: DataFrame, percent: int) -> DataFrame:
+    """Pairs that their rare prefixes don't rule out.
+
+    The rare tokens of one of the two prefixes, that which ends first, stand in the other one if they are shared. So the sets share at most the shared rare
+    tokens of the prefixes, and the larger of what lies behind the prefixes.
+    """
+    x = prefixes.select(F.col("name").alias("x"), F.col("n").alias("nx"), F.col("rare").alias("rx"))
+    y = prefixes.select(F.col("name").alias("y"), F.col("n").alias("ny"), F.col("rare").alias("ry"))
+    both = pairs.join(x, "x").join(y, "y").withColumn("most", F.size(F.array_intersect("rx", "ry")) + F.greatest(F.col("nx") - F.size("rx"), F.col("ny") - F.size("ry")))
+    return both.where(f"100 * most >= {percent} * (nx + ny - most)").select("x", "y")
 
 
 def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """Links between different sets that span their components: (x, y) by name."""
     each = profiled.select("name", F.col("n_shingles").alias("n"), F.col("n_frequent").alias("f"), F.explode("signatures").alias("sig"))
-    # A signature is repeated if it stands in two different sets; names of one signature differ in their least and greatest.
-    short = F.conv(F.hex(F.substring("name", 1, 7)), 16, 10).cast("long")
-    repeated = each.select("sig", short.alias("s")).groupBy("sig").agg(F.min("s").alias("lo"), F.max("s").alias("hi")).where("lo <> hi").select("sig")
-    posted = tabled(each.join(checkpointed(repeated), "sig").select("sig", "name", "n", "f").distinct(), "posted")
-    lists = checkpointed(posted.groupBy("sig").agg(F.count("*").alias("members"), F.min(F.struct(F.expr("n - f").alias("r"), "name", "n", "f")).alias("p"), F.min("n").alias("smallest")))
+    repeated = each.groupBy("sig").agg(F.count("*").alias("times")).where("times > 1").select("sig")
+    words = bitmap(repeated, "sig", BITMAP_BITS)
+    shared = docs.sparkSession.sparkContext.broadcast(words)
+
+    def again(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            frame["signatures"] = [s[in_bitmap(s, shared.value)] for s in frame["signatures"]]
+            yield frame[frame["signatures"].map(len) > 0]
+
+    may = profiled.where("size(signatures) > 0").select("name", F.col("n_shingles").alias("n"), F.col("n_frequent").alias("f"), "signatures").mapInPandas(again, "name binary, n long, f long, signatures array<long>")
+    posted = tabled(may.select("name", "n", "f", F.explode("signatures").alias("sig")).distinct(), "posted")
+    lists = checkpointed(posted.groupBy("sig").agg(F.count("*").alias("members"), F.min(F.struct(F.expr("n - f").alias("r"), "name", "n", "f")).alias("p"), F.min("n").alias("smallest")).where("members > 1"))
     x = posted.select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx"))
     y = posted.select("sig", F.col("name").alias("y"), F.col("n").alias("ny"), F.col("f").alias("fy"))
     few = lists.where(f"members <= {SHORT_LIST}").select("sig")
     hubs = lists.where(f"members > {SHORT_LIST}").select("sig", F.col("p.name").alias("y"), F.col("p.n").alias("ny"), F.col("p.f").alias("fy"))
-    first = checkpointed(_pairs(x.join(few, "sig", "left_semi"), y, percent, "x < y").unionByName(_pairs(x, hubs, percent)).distinct())
-    sets = tabled(sets_of(docs, profiled, posted.select("name").distinct(), id_col, text_col, n), "sets")
-    links = checkpointed(verified(first, sets, percent))
-    # Lists that are longer: members outside the component of the list's hub, as far as anything in the list can still link with them.
     many = lists.where(f"members > {SHORT_LIST}").select("sig", F.col("p.name").alias("hub"), "smallest")
-    if many.isEmpty():
-        return links
+    asked = checkpointed(_pairs(x.join(few, "sig", "left_semi"), y, percent, "x < y").unionByName(_pairs(x, hubs, percent)).distinct())
+    # Rare prefixes of the sets in question, each once: tasks that met a set again left its signatures out.
+    rare = F.filter("signatures", lambda s: s % 2 == 0)
+    prefixes = profiled.where("size(signatures) > 0").select("name", F.col("n_shingles").alias("n"), rare.alias("rare"))
+    prefixes = tabled(prefixes.join(checkpointed(posted.select("name").distinct()), "name", "left_semi").dropDuplicates(["name"]), "prefixes")
+    open_ = checkpointed(_bounded(asked, prefixes, percent))
+    # Each set is first compared with one other; then whatever still joins two components is.
+    first = checkpointed(open_.groupBy("x").agg(F.min("y").alias("y")))
+    long_members = posted.join(many, "sig", "left_semi").select("name")
+    names = open_.select(F.col("x").alias("name")).union(open_.select("y")).union(long_members).distinct()
+    sets = sets_of(docs, profiled, checkpointed(names), id_col, text_col, n)
+    links = checkpointed(verified(first, sets, percent))
     roots = components(links, "x", "y")
     member = posted.join(many, "sig").join(roots, F.col("name") == F.col("node"), "left").withColumn("root", F.coalesce("root", "name")).drop("node")
     main = roots.select(F.col("node").alias("hub_node"), F.col("root").alias("main"))
     member = checkpointed(member.join(main, F.col("hub") == F.col("hub_node"), "left").withColumn("main", F.coalesce("main", "hub")).select("sig", "name", "n", "f", "root", "main", "smallest"))
     alive = f"root <> main and (sig % 2 = 0 or 100 * f >= {percent} * (n + greatest(smallest, f) - f))"
-    open_ = member.where(alive).select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx"), F.col("root").alias("rx"))
+    outside = member.where(alive).select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx"), F.col("root").alias("rx"))
     rest = member.select("sig", F.col("name").alias("y"), F.col("n").alias("ny"), F.col("f").alias("fy"), F.col("root").alias("ry"))
-    second = checkpointed(_pairs(open_, rest, percent, "rx <> ry"))
-    second = second.join(first, ["x", "y"], "left_anti")
+    later = _bounded(checkpointed(_pairs(outside, rest, percent, "rx <> ry")), prefixes, percent).unionByName(open_).distinct().join(first, ["x", "y"], "left_anti")
+    root_of = lambda side: roots.select(F.col("node").alias(side + "n"), F.col("root").alias(side + "r"))
+    later = later.join(root_of("x"), F.col("x") == F.col("xn"), "left").join(root_of("y"), F.col("y") == F.col("yn"), "left")
+    second = checkpointed(later.where("coalesce(xr, x) <> coalesce(yr, y)").select("x", "y"))
     return links.unionByName(checkpointed(verified(second, sets, percent)))
 
 

@@ -34,7 +34,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from multiagg.llm.common import checkpointed, col, runs, tabled
+from multiagg.llm.common import bitmap, checkpointed, col, in_bitmap, powers, runs, tabled
 
 PASSAGE = 200
 TRIGGER = 32
@@ -46,12 +46,6 @@ BASE = 0x9E3779B97F4A7C15
 _BYTES = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 
 
-def powers(n: int, base: int = BASE) -> np.ndarray:
-    """1, base, base**2, ... modulo 2**64."""
-    with np.errstate(over="ignore"):
-        return np.concatenate([np.ones(1, np.uint64), np.cumprod(np.full(n - 1, base, dtype=np.uint64))]) if n > 1 else np.ones(n, np.uint64)
-
-
 def mixed(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
     x = (x ^ (x >> np.uint64(29))) * np.uint64(0xA0761D6478BD642F)
@@ -64,7 +58,7 @@ class Stretch:
     def __init__(self, data: np.ndarray, passage: int = PASSAGE, trigger: int = TRIGGER):
         self.n, self.passage, self.trigger = len(data), passage, trigger
         with np.errstate(over="ignore"):
-            self.power = powers(self.n + 1)
+            self.power = powers(self.n + 1, BASE)
             self.sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_BYTES[data] * self.power[: self.n])])
         self.back = powers(self.n + 1, pow(BASE, -1, 1 << 64))
 
@@ -144,20 +138,6 @@ def repeated_grams(docs: DataFrame, id_col: str, text_col: str, passage: int) ->
     return grams.groupBy("gram").agg(F.count("*").alias("n")).where("n > 1").select("gram")
 
 
-def bitmap(grams: DataFrame, bits: int = BITMAP_BITS) -> np.ndarray:
-    """One bit for each value modulo `bits`; so many bits reach the driver at most, however many grams there are."""
-    words = grams.select(F.pmod("gram", F.lit(bits)).alias("b")).select(F.expr("b div 64").alias("w"), F.expr("shiftleft(1L, cast(b % 64 as int))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v"))
-    out = np.zeros(bits // 64, dtype=np.int64)
-    found = words.toPandas()
-    out[found["w"].to_numpy(dtype=np.int64)] = found["v"].to_numpy(dtype=np.int64)
-    return out
-
-
-def in_bitmap(grams: np.ndarray, words: np.ndarray) -> np.ndarray:
-    b = np.mod(grams, len(words) * 64)
-    return (words[b // 64] >> (b % 64)) & 1 == 1
-
-
 PHRASES = "gram array<long>, phrase array<long>, first array<int>, count array<int>, place array<int>"
 
 
@@ -181,7 +161,7 @@ def candidates(docs: DataFrame, words: np.ndarray, id_col: str, text_col: str, p
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE) -> tuple[DataFrame, DataFrame]:
     """Candidate documents, and their repeated stretches of windows (doc_id, body_key, first, count)."""
-    words = bitmap(repeated_grams(docs, id_col, text_col, passage))
+    words = bitmap(repeated_grams(docs, id_col, text_col, passage), "gram", BITMAP_BITS)
     found = tabled(candidates(docs, words, id_col, text_col, passage), "candidates")
     parsed = found.select("doc_id", "body_key", F.explode(F.arrays_zip("gram", "phrase", "first", "count", "place")).alias("x")).select("doc_id", "body_key", "x.*")
     dictionary = checkpointed(parsed.groupBy("gram", "phrase").agg(F.count("*").alias("times")))
