@@ -54,8 +54,9 @@ class Algebra:
         return out
 
     def times(self, left: set[str], right: set[str], other: str) -> dict[str, Column]:
-        """Annotations of a joined row; the right side's columns bear the suffix `other`."""
-        out = {M: F.col(M) * F.col(M + other)} if self.counts else {}
+        """Annotations of a joined row; the right side's columns bear the suffix `other`. A side without a count stands for one tuple."""
+        weights = [c for c, side in ((F.col(M), left), (F.col(M + other), right)) if M in side]
+        out = {M: weights[0] * weights[1] if len(weights) == 2 else weights[0]} if weights else {}
         for name, (kind, _) in self.parts.items():
             here, there = name in left, name in right
             if not (here or there):
@@ -63,7 +64,9 @@ class Algebra:
             if kind in ("min", "max"):
                 out[name] = F.col(name if here else name + other)
             else:
-                out[name] = F.col(name if here else M) * F.col((name if there else M) + other)
+                sides = [F.col(name) if here else F.col(M) if M in left else None, F.col(name + other) if there else F.col(M + other) if M in right else None]
+                sides = [x for x in sides if x is not None]
+                out[name] = sides[0] * sides[1] if len(sides) == 2 else sides[0]
         return out
 
     def plus(self, have: set[str]) -> dict[str, Column]:
