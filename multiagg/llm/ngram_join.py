@@ -41,11 +41,13 @@ from multiagg.llm.components import components
 WORDS = 4
 #: A link: PERCENT of the union is shared.
 PERCENT = 85
-FREQUENT = 1 << 17
+FREQUENT = 1 << 19
 #: Tokens counted less often than this are never frequent.
-FREQUENT_FROM = 8
+FREQUENT_FROM = 3
 SHORT_LIST = 8
 CHUNK_TOKENS = 2_000_000
+#: Ratio of sizes within which frequent tokens are grouped alike.
+STEP = 1.6
 #: Texts are hashed in segments of about so many bytes.
 SEGMENT = 1 << 20
 #: Bits of the bitmaps that say which signatures are repeated, and which rows' sets are asked for.
@@ -152,14 +154,14 @@ def least_size(percent: int) -> int:
 
 
 def scheme(n: int, percent: int) -> int:
-    """Sizes in steps somewhat wider than two linked sets can differ."""
-    return floor(log(n) / log(1.06 * 100 / percent))
+    """Sizes in steps that are wider than two linked sets can differ."""
+    return floor(log(n) / log(max(STEP, 1.06 * 100 / percent)))
 
 
 def groups_in(s: int, percent: int) -> int:
-    """Groups of frequent tokens for sets of this scheme; about three needed tokens to a group."""
-    start = (1.06 * 100 / percent) ** s
-    return max(1, floor(start * (100 - percent) / 300))
+    """Groups of frequent tokens for sets of this scheme; three needed tokens to two groups, so few pairs to a token."""
+    start = max(STEP, 1.06 * 100 / percent) ** s
+    return max(1, floor(start * (100 - percent) / 150))
 
 
 def among(tokens: np.ndarray, frequent: np.ndarray) -> np.ndarray:
@@ -257,18 +259,21 @@ def sets_of(docs: DataFrame, profiled: DataFrame, names: DataFrame, id_col: str,
     The texts are scanned once more and not shuffled: a bitmap of the asked rows, of fixed size, is broadcast. It lets a few others through, which nothing asks for.
     """
     chosen = profiled.join(names, "name", "left_semi").groupBy("name").agg(F.min(F.struct("doc_id", "body_key")).alias("row"))
-    shared = docs.sparkSession.sparkContext.broadcast(bitmap(chosen.select(F.xxhash64("row.doc_id", "row.body_key").alias("r")), "r", BITMAP_BITS))
+    marks = chosen.select(F.xxhash64("row.doc_id", "row.body_key").alias("r"))
+    both = checkpointed(marks.select(F.explode(F.array("r", F.xxhash64("r"))).alias("r")))
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap(both, "r", BITMAP_BITS))
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            asked = frame["text"][in_bitmap(frame["r"].to_numpy(dtype=np.int64), shared.value)]
+            asked = frame["text"][in_bitmap(frame["r"].to_numpy(dtype=np.int64), shared.value) & in_bitmap(frame["r2"].to_numpy(dtype=np.int64), shared.value)]
             sets = shingle_sets(asked, n)
             yield pd.DataFrame({"name": [set_name(s) for s in sets], "tokens": [s.tobytes() for s in sets]})
 
-    rows = _texts(docs, id_col, text_col).select(F.xxhash64("doc_id", "body_key").alias("r"), "text")
+    rows = _texts(docs, id_col, text_col).select(F.xxhash64("doc_id", "body_key").alias("r"), "text").select("r", F.xxhash64("r").alias("r2"), "text")
     made = tabled(rows.mapInPandas(work, "name binary, tokens binary"), "sets")
-    again = made.groupBy("name").agg(F.count("*").alias("times")).where("times > 1")
-    return made if again.isEmpty() else made.dropDuplicates(["name"])
+    # A set that came twice is only compared twice; were many to come often, the bitmap being full, they are folded.
+    often = made.groupBy("name").agg(F.count("*").alias("times")).where("times > 4")
+    return made if often.isEmpty() else made.dropDuplicates(["name"])
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -295,29 +300,34 @@ def _may_link(percent: int) -> str:
     return f"100 * least(nx, ny) >= {percent} * greatest(nx, ny) and (sig % 2 = 0 or 100 * {least} >= {percent} * (nx + ny - {least}))"
 
 
-def _pairs(left: DataFrame, right: DataFrame, percent: int, extra: str = "true") -> DataFrame:
-    """Pairs that share a signature and may link, the greater name as x."""
-    return left.join(right, "sig").where(f"x <> y and {extra} and {_may_link(percent)}").select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).distinct()
+def _behind(n: str, f: str, percent: int) -> str:
+    """Tokens of a set that its rare prefix leaves out."""
+    return f"{n} - least({n} - {f}, {n} - cast(ceil({percent} * {n} / 100) as long) + 1)"
 
 
-def _bounded(pairs: DataFrame, prefixes: DataFrame, percent: int) -> DataFrame:
-    """Pairs that their rare prefixes don't rule out.
+def _ordered(pairs: DataFrame) -> DataFrame:
+    """The greater name as x."""
+    swap = lambda a, b: F.when(F.col("x") > F.col("y"), F.col(a)).otherwise(F.col(b))
+    return pairs.select(swap("x", "y").alias("x"), swap("nx", "ny").alias("nx"), swap("fx", "fy").alias("fx"), swap("y", "x").alias("y"), swap("ny", "nx").alias("ny"), swap("fy", "fx").alias("fy"), "c")
 
-    The rare tokens of one of the two prefixes, that which ends first, stand in the other one if they are shared. So the sets share at most the shared rare
-    tokens of the prefixes, and the larger of what lies behind the prefixes.
+
+def _bounded(pairs: DataFrame, long_: DataFrame, percent: int) -> DataFrame:
+    """Pairs that their rare prefixes don't rule out, given in `c` how many rare tokens of short lists both hold.
+
+    Of the two rare prefixes one ends first; its tokens stand in the other one if they are shared. So the sets share at most `c`, what either holds of longer
+    lists of rare tokens, and the larger of what lies behind the prefixes.
     """
-    x = prefixes.select(F.col("name").alias("x"), F.col("n").alias("nx"), F.col("rare").alias("rx"))
-    y = prefixes.select(F.col("name").alias("y"), F.col("n").alias("ny"), F.col("rare").alias("ry"))
-    both = pairs.join(x, "x").join(y, "y").withColumn("most", F.size(F.array_intersect("rx", "ry")) + F.greatest(F.col("nx") - F.size("rx"), F.col("ny") - F.size("ry")))
-    return both.where(f"100 * most >= {percent} * (nx + ny - most)").select("x", "y")
+    lx, ly = (long_.select(F.col("name").alias(side + "n"), F.col("held").alias(side + "l")) for side in "xy")
+    both = pairs.join(lx, F.col("x") == F.col("xn"), "left").join(ly, F.col("y") == F.col("yn"), "left")
+    most = f"c + least(coalesce(xl, 0), coalesce(yl, 0)) + greatest({_behind('nx', 'fx', percent)}, {_behind('ny', 'fy', percent)})"
+    return both.withColumn("most", F.expr(most)).where(f"100 * most >= {percent} * (nx + ny - most)").select("x", "y")
 
 
 def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """Links between different sets that span their components: (x, y) by name."""
-    each = profiled.select("name", F.col("n_shingles").alias("n"), F.col("n_frequent").alias("f"), F.explode("signatures").alias("sig"))
+    each = profiled.select(F.explode("signatures").alias("sig"))
     repeated = each.groupBy("sig").agg(F.count("*").alias("times")).where("times > 1").select("sig")
-    words = bitmap(repeated, "sig", BITMAP_BITS)
-    shared = docs.sparkSession.sparkContext.broadcast(words)
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap(repeated, "sig", BITMAP_BITS))
 
     def again(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
@@ -326,35 +336,42 @@ def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text
 
     may = profiled.where("size(signatures) > 0").select("name", F.col("n_shingles").alias("n"), F.col("n_frequent").alias("f"), "signatures").mapInPandas(again, "name binary, n long, f long, signatures array<long>")
     posted = tabled(may.select("name", "n", "f", F.explode("signatures").alias("sig")).distinct(), "posted")
-    lists = checkpointed(posted.groupBy("sig").agg(F.count("*").alias("members"), F.min(F.struct(F.expr("n - f").alias("r"), "name", "n", "f")).alias("p"), F.min("n").alias("smallest")).where("members > 1"))
-    x = posted.select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx"))
-    y = posted.select("sig", F.col("name").alias("y"), F.col("n").alias("ny"), F.col("f").alias("fy"))
-    few = lists.where(f"members <= {SHORT_LIST}").select("sig")
-    hubs = lists.where(f"members > {SHORT_LIST}").select("sig", F.col("p.name").alias("y"), F.col("p.n").alias("ny"), F.col("p.f").alias("fy"))
-    many = lists.where(f"members > {SHORT_LIST}").select("sig", F.col("p.name").alias("hub"), "smallest")
-    asked = checkpointed(_pairs(x.join(few, "sig", "left_semi"), y, percent, "x < y").unionByName(_pairs(x, hubs, percent)).distinct())
-    # Rare prefixes of the sets in question, each once: tasks that met a set again left its signatures out.
-    rare = F.filter("signatures", lambda s: s % 2 == 0)
-    prefixes = profiled.where("size(signatures) > 0").select("name", F.col("n_shingles").alias("n"), rare.alias("rare"))
-    prefixes = tabled(prefixes.join(checkpointed(posted.select("name").distinct()), "name", "left_semi").dropDuplicates(["name"]), "prefixes")
-    open_ = checkpointed(_bounded(asked, prefixes, percent))
+    # The hub of a list has the fewest rare tokens.
+    key = F.expr("shiftleft(least(n - f, 1048575L), 42) | (xxhash64(name) & 4398046511103L)")
+    lists = checkpointed(posted.groupBy("sig").agg(F.count("*").alias("members"), F.min(key).alias("hub"), F.min("n").alias("smallest")).where("members > 1"))
+    listed = tabled(posted.join(lists, "sig").withColumn("key", key), "listed")
+    in_short, in_long = listed.where(f"members <= {SHORT_LIST}"), listed.where(f"members > {SHORT_LIST}")
+    pair = "struct(a.name as x, a.n as nx, a.f as fx, b.name as y, b.n as ny, b.f as fy)"
+    few = in_short.groupBy("sig").agg(F.collect_list(F.struct("name", "n", "f")).alias("m"))
+    few = few.select("sig", F.explode(F.expr(f"flatten(transform(m, a -> transform(filter(m, b -> a.name > b.name), b -> {pair})))")).alias("p")).select("sig", "p.*")
+    few = few.where(_may_link(percent)).withColumn("c", F.expr("if(sig % 2 = 0, 1L, 0L)")).drop("sig")
+    hubs = in_long.where("key = hub").select("sig", F.col("name").alias("y"), F.col("n").alias("ny"), F.col("f").alias("fy"))
+    to_hub = in_long.select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx")).join(checkpointed(hubs), "sig").where(f"x <> y and {_may_link(percent)}")
+    to_hub = _ordered(to_hub.withColumn("c", F.lit(0).cast("long"))).distinct()
+    asked = checkpointed(few.unionByName(to_hub).groupBy("x", "nx", "fx", "y", "ny", "fy").agg(F.sum("c").alias("c")))
+    long_ = checkpointed(in_long.where("sig % 2 = 0").groupBy("name").agg(F.count("*").alias("held")))
+    open_ = checkpointed(_bounded(asked, long_, percent))
     # Each set is first compared with one other; then whatever still joins two components is.
     first = checkpointed(open_.groupBy("x").agg(F.min("y").alias("y")))
-    long_members = posted.join(many, "sig", "left_semi").select("name")
-    names = open_.select(F.col("x").alias("name")).union(open_.select("y")).union(long_members).distinct()
-    sets = sets_of(docs, profiled, checkpointed(names), id_col, text_col, n)
+    named = checkpointed(open_.select(F.col("x").alias("name")).union(open_.select("y")).distinct())
+    sets = sets_of(docs, profiled, named, id_col, text_col, n)
     links = checkpointed(verified(first, sets, percent))
     roots = components(links, "x", "y")
-    member = posted.join(many, "sig").join(roots, F.col("name") == F.col("node"), "left").withColumn("root", F.coalesce("root", "name")).drop("node")
-    main = roots.select(F.col("node").alias("hub_node"), F.col("root").alias("main"))
-    member = checkpointed(member.join(main, F.col("hub") == F.col("hub_node"), "left").withColumn("main", F.coalesce("main", "hub")).select("sig", "name", "n", "f", "root", "main", "smallest"))
+    hub_roots = hubs.select("sig", F.col("y").alias("hub_name")).join(roots, F.col("hub_name") == F.col("node"), "left").select("sig", F.coalesce("root", "hub_name").alias("main"))
+    member = in_long.select("sig", "name", "n", "f", "smallest").join(roots, F.col("name") == F.col("node"), "left").withColumn("root", F.coalesce("root", "name")).drop("node")
+    member = checkpointed(member.join(checkpointed(hub_roots), "sig"))
     alive = f"root <> main and (sig % 2 = 0 or 100 * f >= {percent} * (n + greatest(smallest, f) - f))"
-    outside = member.where(alive).select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx"), F.col("root").alias("rx"))
+    outside = checkpointed(member.where(alive).select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx"), F.col("root").alias("rx")))
     rest = member.select("sig", F.col("name").alias("y"), F.col("n").alias("ny"), F.col("f").alias("fy"), F.col("root").alias("ry"))
-    later = _bounded(checkpointed(_pairs(outside, rest, percent, "rx <> ry")), prefixes, percent).unionByName(open_).distinct().join(first, ["x", "y"], "left_anti")
+    more = _ordered(outside.join(rest, "sig").where(f"rx <> ry and {_may_link(percent)}").withColumn("c", F.lit(0).cast("long"))).distinct()
+    more = _bounded(checkpointed(more).join(asked, ["x", "y"], "left_anti"), long_, percent)
+    later = more.unionByName(open_.join(first, ["x", "y"], "left_anti"))
     root_of = lambda side: roots.select(F.col("node").alias(side + "n"), F.col("root").alias(side + "r"))
     later = later.join(root_of("x"), F.col("x") == F.col("xn"), "left").join(root_of("y"), F.col("y") == F.col("yn"), "left")
-    second = checkpointed(later.where("coalesce(xr, x) <> coalesce(yr, y)").select("x", "y"))
+    second = checkpointed(later.where("coalesce(xr, x) <> coalesce(yr, y)").select("x", "y").distinct())
+    unknown = checkpointed(second.select(F.col("x").alias("name")).union(second.select("y")).distinct().join(named, "name", "left_anti"))
+    if not unknown.isEmpty():
+        sets = sets.unionByName(sets_of(docs, profiled, unknown, id_col, text_col, n))
     return links.unionByName(checkpointed(verified(second, sets, percent)))
 
 
