@@ -41,8 +41,8 @@ FOLDS, HELD_OUT = 5, 1
 SWEEPS, BURN_IN = 5, 2
 STRENGTH = 1.0
 #: A stretch ends with so many tokens, or documents.
-STRETCH_TOKENS, STRETCH_DOCS = 3_000_000, 65_000
-BLOCK_TYPES = 50_000
+STRETCH_TOKENS, STRETCH_DOCS = 1_000_000, 65_000
+BLOCK_TYPES = 20_000
 #: Stands for the end of a text; no word can be white space.
 END = b"\n"
 TRAINING = 1 << 15
