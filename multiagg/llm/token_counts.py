@@ -84,7 +84,7 @@ def count_tokens(blocks: DataFrame, end: int = END_OF_DOCUMENT, dtype: str = ID,
     # Within a group: ids, separators, and the place behind the last separator, counted from the group's start.
     inside = Window.partitionBy("file", "g").orderBy("block")
     before = inside.rowsBetween(Window.unboundedPreceding, -1)
-    local = found.withColumn("at", F.sum("n").over(inside) - F.col("n")).withColumn("behind", F.col("at") + F.element_at("places", -1) + 1)
+    local = found.withColumn("at", F.sum("n").over(inside) - F.col("n")).withColumn("behind", F.col("at") + F.try_element_at("places", F.lit(-1)) + 1)
     local = local.withColumn("seen", F.coalesce(F.sum(F.size("places")).over(before), F.lit(0))).withColumn("open", F.max("behind").over(before))
     groups = checkpointed(local.groupBy("file", "g").agg(F.sum("n").alias("gn"), F.sum(F.size("places")).alias("gs"), F.max("behind").alias("gb")))
     order = Window.partitionBy("file").orderBy("g")
@@ -95,7 +95,7 @@ def count_tokens(blocks: DataFrame, end: int = END_OF_DOCUMENT, dtype: str = ID,
     each = placed.where("size(places) > 0").select("file", "base", "at", "places", (F.col("docs") + F.col("seen")).alias("first"), F.coalesce(F.col("base") + F.col("open"), F.col("start0")).alias("start1"), F.posexplode("places").alias("i", "p"))
     closed = each.select(
         "file", (F.col("first") + F.col("i")).alias("ordinal"),
-        F.when(F.col("i") == 0, F.col("start1")).otherwise(F.col("base") + F.col("at") + F.element_at("places", F.greatest(F.col("i"), F.lit(1))) + 1).alias("start"),
+        F.when(F.col("i") == 0, F.col("start1")).otherwise(F.col("base") + F.col("at") + F.try_element_at("places", F.greatest(F.col("i"), F.lit(1))) + 1).alias("start"),
         (F.col("base") + F.col("at") + F.col("p")).alias("stop"),
     ).select("file", "ordinal", "start", (F.col("stop") - F.col("start")).alias("n_tokens"), F.lit(True).alias("closed"))
     whole = groups.groupBy("file").agg(F.sum("gn").alias("n"), F.sum("gs").alias("ordinal"), F.coalesce(F.max(F.col("base") + F.col("gb")), F.lit(0)).alias("start"))
