@@ -9,11 +9,13 @@ in it, with that much in common, exactly if they agree in trigger, offset and by
 
 * a trigger string met once in the corpus ends the search for its windows;
 * a phrase that stands in the parse twice makes all its windows repeats, without looking at them;
-* the windows of the other phrases of a shared trigger are ordered one by one, over the
-  dictionary's distinct phrases only, each weighted by its number in the parse.
+* the windows of the other phrases of a shared trigger are ordered over the dictionary's distinct
+  phrases only, each weighted by its number in the parse: first in blocks of neighbouring offsets,
+  whose shared bytes must be repeated if any window is, and whose whole bytes settle all of them
+  if they are; only blocks between these two, at the ends of repeats, are ordered one by one.
 
 Scale: text is scanned twice and never shuffled whole. Pass 1 counts trigger strings, one in about
-85 bytes. A bitmap of fixed size of the repeated ones is broadcast; pass 2 writes the documents
+70 bytes. A bitmap of fixed size of the repeated ones is broadcast; pass 2 writes the documents
 that it can't rule out, with their phrases, and later steps read only those. All counting is
 combined within map tasks, all joins back are against tables written before, which AQE can split.
 
@@ -26,7 +28,8 @@ cross documents. Bytes are UTF-8.
 
 from __future__ import annotations
 
-import hashlib
+import atexit
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -37,7 +40,9 @@ from pyspark.sql import functions as F
 from multiagg.llm.common import bitmap, checkpointed, col, in_bitmap, powers, runs, tabled
 
 PASSAGE = 200
-TRIGGER = 32
+TRIGGER = 64
+#: Windows of a phrase are first ordered by blocks of so many offsets.
+BLOCK = 16
 #: Bits of the bitmap of repeated trigger strings.
 BITMAP_BITS = 1 << 26
 #: Texts are parsed in stretches of so many bytes.
@@ -124,7 +129,9 @@ def removed_runs(n: int, first: np.ndarray, count: np.ndarray, passage: int = PA
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return docs.select(col(id_col).alias("doc_id"), F.xxhash64(col(text_col)).alias("body_key"), F.coalesce(col(text_col), F.lit("")).cast("binary").alias("body"))
+    """doc_id, two keys of (id, text) and the bytes; rows that agree in both keys are repeats of one document."""
+    id_, text = col(id_col), col(text_col)
+    return docs.select(id_.alias("doc_id"), F.xxhash64(id_, text).alias("k1"), F.xxhash64(text, id_, F.lit(1)).alias("k2"), F.coalesce(text, F.lit("")).cast("binary").alias("body"))
 
 
 def repeated_grams(docs: DataFrame, id_col: str, text_col: str, passage: int) -> DataFrame:
@@ -143,85 +150,140 @@ PHRASES = "gram array<long>, phrase array<long>, first array<int>, count array<i
 
 def candidates(docs: DataFrame, words: np.ndarray, id_col: str, text_col: str, passage: int) -> DataFrame:
     """Documents with a trigger string that may be repeated, and their phrases of such triggers."""
-    kind = docs.select(col(id_col)).schema[0].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(words)
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
             rows = []
-            for doc, key, body in zip(frame["doc_id"], frame["body_key"], frame["body"]):
+            for k1, k2, body in zip(frame["k1"], frame["k2"], frame["body"]):
                 p = parse(body, passage)
                 keep = in_bitmap(p["gram"], shared.value)
                 if keep.any():
-                    rows.append((doc, key, body, *(p[c][keep] if i < 2 else p[c][keep].astype(np.int32) for i, c in enumerate(p))))
-            yield pd.DataFrame(rows, columns=["doc_id", "body_key", "body", "gram", "phrase", "first", "count", "place"])
-
-    return _rows(docs, id_col, text_col).mapInPandas(work, f"doc_id {kind}, body_key long, body binary, {PHRASES}")
+                    rows.append((k1, k2, body, *(p[c][keep] if i < 2 else p[c][keep].astype(np.int32) for i, c in enumerate(p))))
+            yield pd.DataFrame(rows, columns=["k1", "k2", "body", "gram", "phrase", "first", "count", "place"])
+
+    return _rows(docs, id_col, text_col).drop("doc_id").mapInPandas(work, f"k1 long, k2 long, body binary, {PHRASES}")
+
+
+def bucketed(df: DataFrame, stem: str) -> DataFrame:
+    """A table in buckets by (k1, k2): joins on both keys shuffle the other side only."""
+    spark = df.sparkSession
+    name, n = f"{stem}_{uuid.uuid4().hex}", int(spark.conf.get("spark.sql.shuffle.partitions"))
+    df.repartition(n, "k1", "k2").write.bucketBy(n, "k1", "k2").option("compression", "zstd").saveAsTable(name)
+    atexit.register(_drop, spark, name)
+    return spark.table(name)
+
+
+def _drop(spark, name: str) -> None:
+    if spark.sparkContext._jsc is not None and not spark.sparkContext._jsc.sc().isStopped():
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+
+
+def blocks_of(raw: bytes, first: np.ndarray, count: np.ndarray, place: np.ndarray, passage: int = PASSAGE) -> tuple[np.ndarray, ...]:
+    """The windows of some phrases in blocks of `BLOCK` offsets to the trigger: (phrase's number, block, hash of the bytes all its windows share, hash of all their bytes, whether there are that many bytes)."""
+    low, high = place - first - count + 1, place - first  # offsets of the last and the first window
+    number = high // BLOCK - low // BLOCK + 1
+    of = np.repeat(np.arange(len(first)), number)
+    block = np.repeat(low // BLOCK, number) + runs(number)
+    start = place[of] - BLOCK * block  # where the shared bytes begin
+    core = np.zeros(len(of), np.uint64)
+    full = np.zeros(len(of), np.uint64)
+    whole = (start - BLOCK + 1 >= 0) & (start + passage <= len(raw))
+    part = np.maximum(start - BLOCK + 1, 0) // STRETCH
+    for b in np.unique(part):
+        at, mine = int(b) * STRETCH, part == b
+        s = Stretch(np.frombuffer(raw, np.uint8, min(len(raw) - at, STRETCH + 2 * passage), at), passage)
+        core[mine] = s.hashes(start[mine] - at, passage - BLOCK + 1)
+        mine &= whole
+        full[mine] = s.hashes(start[mine] - BLOCK + 1 - at, passage + BLOCK - 1)
+    with np.errstate(over="ignore"):
+        salt = block.astype(np.uint64) * np.uint64(BASE)
+        return of, block, mixed(core + salt).view(np.int64), mixed(full + salt).view(np.int64), whole
 
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE) -> tuple[DataFrame, DataFrame]:
-    """Candidate documents, and their repeated stretches of windows (doc_id, body_key, first, count)."""
+    """Candidate documents, and their repeated stretches of windows (k1, k2, first, count)."""
     words = bitmap(repeated_grams(docs, id_col, text_col, passage), "gram", BITMAP_BITS)
-    found = tabled(candidates(docs, words, id_col, text_col, passage), "candidates")
-    parsed = found.select("doc_id", "body_key", F.explode(F.arrays_zip("gram", "phrase", "first", "count", "place")).alias("x")).select("doc_id", "body_key", "x.*")
+    found = bucketed(candidates(docs, words, id_col, text_col, passage), "candidates")
+    parsed = found.select("k1", "k2", F.explode(F.arrays_zip("gram", "phrase", "first", "count", "place")).alias("x")).select("k1", "k2", "x.*")
     dictionary = checkpointed(parsed.groupBy("gram", "phrase").agg(F.count("*").alias("times")))
     shared = checkpointed(dictionary.groupBy("gram").agg(F.sum("times").alias("uses"), F.count("*").alias("phrases")).where("uses > 1"))
     known = checkpointed(dictionary.join(shared, "gram").select("gram", "phrase", "times", "phrases"))
-    placed = parsed.join(known, ["gram", "phrase"])
-    whole = placed.where("times > 1").select("doc_id", "body_key", "first", "count")
+    placed = tabled(parsed.join(known, ["gram", "phrase"]), "placed")
+    whole = placed.where("times > 1").select("k1", "k2", "first", "count")
     # Windows are ordered over the dictionary: each phrase of a trigger with several of them, once, with its number in the parse.
     several = placed.where("phrases > 1")
-    single = several.where("times = 1").select("doc_id", "body_key", "gram", "first", "count", "place", F.lit(1).alias("times"))
-    double = several.where("times > 1").groupBy("gram", "phrase").agg(F.min(F.struct("doc_id", "body_key", "first", "count", "place", "times")).alias("x"))
-    asked = single.unionByName(double.select("x.doc_id", "x.body_key", "gram", "x.first", "x.count", "x.place", F.col("x.times").cast("int").alias("times")))
-    by_doc = checkpointed(asked.groupBy("doc_id", "body_key").agg(F.collect_list(F.struct("gram", "first", "count", "place", "times")).alias("asked")))
-    kind = found.schema["doc_id"].dataType.simpleString()
-    one = found.select("doc_id", "body_key", "body").dropDuplicates(["doc_id", "body_key"]) if repeated_rows(found) else found.select("doc_id", "body_key", "body")
-    texts = one.join(by_doc.withColumnsRenamed({"doc_id": "d", "body_key": "k"}), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("body_key") == F.col("k"))).select("doc_id", "body_key", "body", "asked")
+    single = several.where("times = 1").select("k1", "k2", "gram", "first", "count", "place", F.lit(1).alias("times"))
+    double = several.where("times > 1").groupBy("gram", "phrase").agg(F.min(F.struct("k1", "k2", "first", "count", "place", "times")).alias("x"))
+    asked = single.unionByName(double.select("x.k1", "x.k2", "gram", "x.first", "x.count", "x.place", F.col("x.times").cast("int").alias("times")))
+    texts = _with(found, asked, F.struct("gram", "first", "count", "place", "times"))
 
-    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def blocks(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            for k1, k2, body, asked in zip(frame["k1"], frame["k2"], frame["body"], frame["asked"]):
+                gram, first, count, place, times = (np.array([x[c] for x in asked], dtype=np.int64) for c in ("gram", "first", "count", "place", "times"))
+                of, block, core, full, enough = blocks_of(body, first, count, place, passage)
+                low = np.maximum(BLOCK * block, (place - first - count + 1)[of])
+                high = np.minimum(BLOCK * block + BLOCK - 1, (place - first)[of])
+                # A phrase that a stretch's end has cut shows its block twice; it counts once.
+                once = np.zeros(len(of), dtype=bool)
+                once[np.unique(place[of] * (passage + 1) + block, return_index=True)[1]] = True
+                yield pd.DataFrame({
+                    "k1": k1, "k2": k2, "gram": gram[of], "place": place[of], "first": place[of] - high, "count": high - low + 1, "core": core,
+                    "full": np.where(enough, full, 0), "enough": enough, "times": times[of], "weight": np.where(once, times[of], 0),
+                })
+
+    cut = tabled(texts.mapInPandas(blocks, "k1 long, k2 long, gram long, place int, first int, count int, core long, full long, enough boolean, times int, weight int"), "blocks")
+    cores = checkpointed(cut.groupBy("gram", "core").agg(F.sum("weight").alias("n")).where("n > 1").select("gram", "core"))
+    fulls = checkpointed(cut.where("enough").groupBy("gram", "full").agg(F.sum("weight").alias("n")).where("n > 1").select("gram", "full", F.lit(True).alias("hit")))
+    open_ = tabled(cut.join(cores, ["gram", "core"]).join(fulls, ["gram", "full"], "left").select("k1", "k2", "gram", "place", "first", "count", "times", "weight", (F.col("enough") & F.col("hit").isNotNull()).alias("hit")), "open")
+    sure = open_.where("hit and times = 1").select("k1", "k2", "first", "count")
+    # What is left are the blocks at the ends of repeats, window by window. Blocks that are sure elsewhere may hold their partners, so they are ordered too, unless all blocks of the trigger are sure.
+    unsure = checkpointed(open_.where("not hit").select("gram").distinct())
+    edge = _with(found, open_.join(unsure, "gram", "left_semi"), F.struct("gram", "first", "count", "place", "times"))
+
+    def windows(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            for doc, key, body, asked in zip(frame["doc_id"], frame["body_key"], frame["body"], frame["asked"]):
+            for k1, k2, body, asked in zip(frame["k1"], frame["k2"], frame["body"], frame["asked"]):
                 gram, first, count, place, times = (np.array([x[c] for x in asked], dtype=np.int64) for c in ("gram", "first", "count", "place", "times"))
                 start, window = windows_of(body, first, count, place, passage)
-                yield pd.DataFrame({"doc_id": pd.Series([doc] * len(start), dtype=frame["doc_id"].dtype), "body_key": key, "gram": np.repeat(gram, count), "window": window, "start": start, "times": np.repeat(times, count)})
+                yield pd.DataFrame({"k1": k1, "k2": k2, "gram": np.repeat(gram, count), "window": window, "start": start, "times": np.repeat(times, count)})
 
-    windows = texts.mapInPandas(work, f"doc_id {kind}, body_key long, gram long, window long, start int, times int")
-    counted = tabled(windows, "windows")
+    counted = tabled(edge.mapInPandas(windows, "k1 long, k2 long, gram long, window long, start int, times int"), "windows")
     twice = checkpointed(counted.groupBy("gram", "window").agg(F.sum("times").alias("n")).where("n > 1").select("gram", "window"))
-    parts = counted.where("times = 1").join(twice, ["gram", "window"]).select("doc_id", "body_key", F.col("start").alias("first"), F.lit(1).alias("count"))
-    return found, whole.unionByName(parts)
+    parts = counted.where("times = 1").join(twice, ["gram", "window"]).select("k1", "k2", F.col("start").alias("first"), F.lit(1).alias("count"))
+    return found, whole.unionByName(sure).unionByName(parts)
 
 
-def repeated_rows(found: DataFrame) -> bool:
-    """Whether some (id, text) stands in several rows."""
-    return not found.groupBy("doc_id", "body_key").agg(F.count("*").alias("n")).where("n > 1").isEmpty()
+def _with(found: DataFrame, asked: DataFrame, what) -> DataFrame:
+    """Texts with all that is asked of them; a document's own phrases bound its list. Repeats of a row are asked once."""
+    by_doc = checkpointed(asked.groupBy("k1", "k2").agg(F.collect_set(what).alias("asked")))
+    texts = found.select("k1", "k2", "body")
+    if not found.groupBy("k1", "k2").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
+        texts = texts.dropDuplicates(["k1", "k2"])
+    return texts.join(by_doc, ["k1", "k2"])
 
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE) -> DataFrame:
-    """One row per row of `docs`: doc_id, n_bytes, n_removed, n_spans, kept (the remaining bytes), body_key; `kept` is null where nothing was removed."""
+    """One row per document that loses something: k1, k2, n_removed, n_spans, kept (the remaining bytes)."""
     found, marks = repeats(docs, id_col, text_col, passage)
-    per_doc = checkpointed(marks.groupBy("doc_id", "body_key").agg(F.collect_set(F.struct("first", "count")).alias("marks")).withColumnsRenamed({"doc_id": "d", "body_key": "k"}))
-    kind = found.schema["doc_id"].dataType.simpleString()
-    marked = found.select("doc_id", "body_key", "body").join(per_doc, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("body_key") == F.col("k"))).select("doc_id", "body_key", "body", "marks")
+    marked = _with(found, marks, F.struct("first", "count"))
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
             rows = []
-            for doc, key, body, marks in zip(frame["doc_id"], frame["body_key"], frame["body"], frame["marks"]):
+            for k1, k2, body, marks in zip(frame["k1"], frame["k2"], frame["body"], frame["asked"]):
                 cut = removed_runs(len(body), np.array([m["first"] for m in marks], np.int64), np.array([m["count"] for m in marks], np.int64), passage)
                 ends = [0, *cut.ravel().tolist(), len(body)]
-                rows.append((doc, key, int((cut[:, 1] - cut[:, 0]).sum()), len(cut), b"".join(body[a:b] for a, b in zip(ends[::2], ends[1::2]))))
-            yield pd.DataFrame(rows, columns=["doc_id", "body_key", "n_removed", "n_spans", "kept"])
+                rows.append((k1, k2, int((cut[:, 1] - cut[:, 0]).sum()), len(cut), b"".join(body[a:b] for a, b in zip(ends[::2], ends[1::2]))))
+            yield pd.DataFrame(rows, columns=["k1", "k2", "n_removed", "n_spans", "kept"])
 
-    return marked.mapInPandas(work, f"doc_id {kind}, body_key long, n_removed long, n_spans long, kept binary")
+    return marked.mapInPandas(work, "k1 long, k2 long, n_removed long, n_spans long, kept binary")
 
 
 def removal_digests(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row of `docs`."""
-    cut = remove_repeats(docs).select(F.col("doc_id").alias("d"), F.col("body_key").alias("k"), "n_removed", "n_spans", F.sha2("kept", 256).alias("cut_sha256"))
-    cut = checkpointed(cut.distinct())
-    rows = _rows(docs, "doc_id", "text").select("doc_id", "body_key", F.octet_length("body").cast("long").alias("n_bytes"), F.sha2("body", 256).alias("whole_sha256"))
-    joined = rows.join(cut, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("body_key") == F.col("k")), "left")
+    cut = checkpointed(remove_repeats(docs).select("k1", "k2", "n_removed", "n_spans", F.sha2("kept", 256).alias("cut_sha256")))
+    rows = _rows(docs, "doc_id", "text").select("doc_id", "k1", "k2", F.octet_length("body").cast("long").alias("n_bytes"), F.sha2("body", 256).alias("whole_sha256"))
     zero = F.lit(0).cast("long")
-    return joined.select("doc_id", "n_bytes", F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("cut_sha256", "whole_sha256").alias("kept_sha256"))
+    return rows.join(cut, ["k1", "k2"], "left").select("doc_id", "n_bytes", F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("cut_sha256", "whole_sha256").alias("kept_sha256"))
