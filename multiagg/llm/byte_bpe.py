@@ -30,7 +30,7 @@ RANKS_FILE = "byte_bpe_50k.tiktoken"
 LONG = 512
 CELLS = 1 << 20
 BUCKETS = (1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 14, 16, 20, 24, 32, 48, 64, 128, 256, LONG)
-CACHE_PIECES = 400_000
+CACHE_PIECES = 150_000
 NONE = np.int32(2**31 - 1)
 
 
