@@ -15,7 +15,7 @@ def string_suite(part: DataFrame) -> DataFrame:
 
 def date_suite(orders: DataFrame) -> DataFrame:
     d = F.col("o_orderdate")
-    return orders.select("o_orderkey", F.year(d).cast("long").alias("y"), F.month(d).cast("long").alias("m"), F.date_trunc("month", d).cast("date").alias("month_start"), F.datediff(d.cast("date"), F.lit("1992-01-01").cast("date")).cast("long").alias("days"), F.date_add(d.cast("date"), 30).alias("due"))
+    return orders.select("o_orderkey", F.year(d).cast("long").alias("y"), F.month(d).cast("long").alias("m"), F.date_trunc("month", d).cast("date").cast("string").alias("month_start"), F.datediff(d.cast("date"), F.lit("1992-01-01").cast("date")).cast("long").alias("days"), F.date_add(d.cast("date"), 30).cast("string").alias("due"))
 
 
 def math_suite(customer: DataFrame) -> DataFrame:
