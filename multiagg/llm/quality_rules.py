@@ -31,7 +31,7 @@ RULES = {
     "duplicate_lines": "n_dup_lines >= 3 and 100 * n_dup_lines > 30 * n_lines",
     "capitals": "100 * n_upper > 40 * n_letters",
     "shouting": "100 * n_bangs > 25 * n_words",
-    "few_letters": "100 * n_letters < 50 * word_chars",
+    "few_letters": "100 * n_letters < 30 * word_chars",
     "doubled_words": "100 * n_doubled > 20 * n_words",
     "word_length": "word_chars < 2 * n_words or word_chars > 20 * n_words",
 }
