@@ -75,8 +75,8 @@ def bitmap(values: DataFrame, name: str, bits: int) -> np.ndarray:
     """One bit for each value of a long column modulo `bits`; so many bits reach the driver at most, however many values there are."""
     words = values.select(F.pmod(name, F.lit(bits)).alias("b")).select(F.expr("b div 64").alias("w"), F.expr("shiftleft(1L, cast(b % 64 as int))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v"))
     out = np.zeros(bits // 64, dtype=np.int64)
-    found = words.toPandas()
-    out[found["w"].to_numpy(dtype=np.int64)] = found["v"].to_numpy(dtype=np.int64)
+    found = words.toArrow()
+    out[found["w"].to_numpy()] = found["v"].to_numpy()
     return out
 
 

@@ -41,7 +41,7 @@ from multiagg.llm.components import components
 WORDS = 4
 #: A link: PERCENT of the union is shared.
 PERCENT = 85
-FREQUENT = 1 << 19
+FREQUENT = 1 << 18
 #: Tokens counted less often than this are never frequent.
 FREQUENT_FROM = 3
 SHORT_LIST = 8
@@ -200,7 +200,7 @@ def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, most: int = FREQUENT, least: int = FREQUENT_FROM) -> np.ndarray:
-    """The most common tokens of the corpus, at most `most`, sorted.
+    """The most common tokens of the corpus, sorted: all from some count on, at most `most`.
 
     Tasks count tokens over stretches of distinct sets and report those they met twice; so counts
     run low for tokens that are thinly spread, which moves them to the rare ones and loses no link.
@@ -229,8 +229,18 @@ def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, mos
         yield counted()
 
     counts = docs.select(col(text_col).alias("text")).mapInPandas(work, "token long, times long").groupBy("token").agg(F.sum("times").alias("times"))
-    top = counts.where(F.col("times") >= least).orderBy(F.desc("times"), "token").limit(most).toPandas()
-    return np.sort(top["token"].to_numpy(dtype=np.int64).view(np.uint64))
+    counts = tabled(counts.where(F.col("times") >= least), "counts")
+    # The least count that at most `most` tokens reach; tokens are only sent to the driver once it is known.
+    top = F.least("times", F.lit(10_000)).alias("times")
+    room, start = most, None
+    for r in sorted(counts.select(top).groupBy("times").agg(F.count("*").alias("tokens")).collect(), key=lambda r: -r["times"]):
+        room -= r["tokens"]
+        if room < 0:
+            break
+        start = r["times"]
+    if start is None:
+        return np.zeros(0, dtype=np.uint64)
+    return np.sort(counts.where(F.col("times") >= start).select("token").toArrow()["token"].to_numpy().view(np.uint64))
 
 
 def profiles(docs: DataFrame, frequent: np.ndarray, id_col: str, text_col: str, n: int, percent: int) -> DataFrame:
