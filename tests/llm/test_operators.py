@@ -311,6 +311,21 @@ def test_predictions_sum_to_one(docs):
     assert np.allclose((10**table).sum(1) + unknown, 1, atol=0.02)
 
 
+def test_every_context_has_its_restaurant(spark):
+    from multiagg.llm import pitman_yor as p
+
+    r = random.Random(3)
+    pair = lambda: "left{0} right{0}".format(r.randrange(200))
+    df = spark.createDataFrame([(i, " ".join(pair() for _ in range(40))) for i in range(150)], "doc_id long, text string").repartition(2)
+    hot = p.hot_tokens(df, "doc_id", "text", 4)
+    read = p.read_once(df, hot, "doc_id", "text").persist()
+    totals = p.fit(read, p.blocks_by_type(read).persist(), len(hot) + 2, 2)
+    assert totals.customers[len(hot)] == 0 and totals.customers.sum() + totals.contexts.agg({"c": "sum"}).first()[0] == totals.total
+    mean = lambda most: np.mean([x["perplexity"] for x in p.score_documents(df, most=most).where("held_out").collect()])
+    few, all_ = mean(4), mean(4096)
+    assert abs(few / all_ - 1) < 0.03 and few < 40
+
+
 def test_pipeline_keeps_columns_and_acts(spark, docs):
     import corpus_pipeline
 
