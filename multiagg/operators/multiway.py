@@ -9,7 +9,8 @@ its count at one again behind each branch; arm entries of sibling arms meet on (
 the trail's own weight is multiplied once, then its last level is dropped.
 
 `source_batches` runs slices of the sources one after the other, which caps the state.
-`packed` walks a small graph in the tasks; the graph's size is checked before it is broadcast.
+`packed` walks a small graph in the tasks; the graph's size is checked before it is broadcast, and
+`multiway_aggregate` hands a larger one over to `shared_arms`.
 """
 
 from __future__ import annotations
@@ -30,6 +31,10 @@ STRATEGIES = ("shared_arms", "per_source", "source_batches", "packed")
 PACKED_EDGES = 2_000_000
 
 
+class TooManyEdges(SpecError):
+    """The graph is too large to be broadcast."""
+
+
 def carried(graph: DataGraph, n: Node) -> list[str]:
     """Group columns of a relation and all below it."""
     return [g for x in n.walk() for g in [*x.group, *graph.algebra.extra_groups(x.name)]]
@@ -203,7 +208,7 @@ def packed(graph: DataGraph, limit: int = PACKED_EDGES) -> DataFrame:
         raise SpecError("the packed walk counts only")
     edges = sum(df.count() for df in graph.edges.values())
     if edges > limit:
-        raise SpecError(f"{edges} edges are more than the {limit} that may be broadcast")
+        raise TooManyEdges(f"{edges} edges are more than the {limit} that may be broadcast")
     spark = graph.edges[graph.tree.name].sparkSession
     tables = {name: df.toPandas() for name, df in graph.edges.items()}
     shared = spark.sparkContext.broadcast(PackedGraph(graph, tables))
@@ -227,6 +232,14 @@ def packed(graph: DataGraph, limit: int = PACKED_EDGES) -> DataFrame:
     return added(graph, ids.mapInPandas(walk, schema), [*graph.tree.group, *below])
 
 
+def packed_or_shared(graph: DataGraph) -> DataFrame:
+    """The walk in the tasks where the graph may be broadcast, else the same counts by shared arms."""
+    try:
+        return packed(graph, PACKED_EDGES)
+    except TooManyEdges:
+        return shared_arms(graph)
+
+
 def finish(graph: DataGraph, table: DataFrame, sort: bool = False) -> DataFrame:
     """Result columns under their own names: distinct counts, averages, `having`, order."""
     spec, a = graph.spec, graph.algebra
@@ -260,7 +273,7 @@ def multiway_aggregate(spec: GroupedJoinSpec, strategy: str = "auto", root: str
         out = traditional(spec)
         return out.orderBy(*spec.groups) if sort else out
     graph = prepared(spec, root, pre_aggregate, reduce_first)
-    run = {"shared_arms": shared_arms, "per_source": lambda g: per_source(g, cache_trails), "source_batches": lambda g: source_batches(g, batches), "packed": packed}
+    run = {"shared_arms": shared_arms, "per_source": lambda g: per_source(g, cache_trails), "source_batches": lambda g: source_batches(g, batches), "packed": packed_or_shared}
     if strategy not in run:
         raise SpecError(f"no strategy {strategy}")
     return finish(graph, run[strategy](graph), sort)

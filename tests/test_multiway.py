@@ -144,6 +144,16 @@ def test_packed_refuses_large_graphs(spark, branch):
         packed(prepared(GroupedJoinSpec(tuple(branch))), limit=3)
 
 
+def test_packed_hands_large_graphs_over(spark, branch, monkeypatch):
+    from multiagg.operators import multiway
+
+    monkeypatch.setattr(multiway, "PACKED_EDGES", 3)
+    spec = GroupedJoinSpec(tuple(branch))
+    assert rows(multiway_aggregate(spec, "packed")) == [("s", "u", "w", 6), ("s", "v", "w", 2), ("t", "u", "w", 2)]
+    with pytest.raises(SpecError, match="counts only"):
+        multiway_aggregate(GroupedJoinSpec(tuple(branch), (Agg.sum("R4", "v"),)), "packed")
+
+
 def test_choice_and_explanation(spark):
     assert choose_strategy(workload("pairs_suppliers", spark, SF)).strategy == "shared_arms"
     text = explain_multiway(workload("syn_b2", spark, SF))
