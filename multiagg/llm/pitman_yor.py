@@ -37,7 +37,8 @@ from pyspark.sql import functions as F
 from multiagg.llm.common import col, tabled
 
 HOT = 512
-HOT_FROM = 8
+#: Types that a task counts before it passes them on.
+COUNTED = 200_000
 FOLDS, HELD_OUT = 5, 1
 SWEEPS, BURN_IN = 5, 2
 STRENGTH = 1.0
@@ -58,16 +59,23 @@ def held_out(doc_id) -> bool:
 
 
 def hot_tokens(docs: DataFrame, id_col: str, text_col: str, most: int = HOT) -> list[bytes]:
-    """END and the most common other training tokens, by counts that tasks met `HOT_FROM` times or more."""
+    """END and the most common other training tokens; tasks add up what they meet before it is counted as a whole."""
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        seen: Counter = Counter()
+
+        def counted() -> pd.DataFrame:
+            seen.pop(END, None)
+            return pd.DataFrame(list(seen.items()), columns=["token", "n"])
+
         for frame in frames:
-            seen: Counter = Counter()
             for doc, text in zip(frame["doc_id"], frame["text"]):
                 if not held_out(doc):
                     seen.update(tokens_of(text))
-            rows = [(w, n) for w, n in seen.items() if n >= HOT_FROM and w != END]
-            yield pd.DataFrame(rows, columns=["token", "n"])
+                if len(seen) >= COUNTED:
+                    yield counted()
+                    seen.clear()
+        yield counted()
 
     counts = docs.select(col(id_col).alias("doc_id"), col(text_col).alias("text")).mapInPandas(work, "token binary, n long").groupBy("token").agg(F.sum("n").alias("n"))
     return [END, *(bytes(r["token"]) for r in counts.orderBy(F.desc("n"), "token").limit(most - 1).collect())]

@@ -311,6 +311,16 @@ def test_predictions_sum_to_one(docs):
     assert np.allclose((10**table).sum(1) + unknown, 1, atol=0.02)
 
 
+def test_hot_tokens_by_all_counts(spark):
+    from multiagg.llm import pitman_yor as p
+
+    rows = [(i, f"common{i % 7} rare{i} rare{i + 1} end") for i in range(60)]
+    counts = Counter(w for i, t in rows if not p.held_out(i) for w in t.encode().split())
+    want = [p.END, *sorted(counts, key=lambda w: (-counts[w], w))[:5]]
+    for parts in (1, 20):
+        assert p.hot_tokens(spark.createDataFrame(rows, "doc_id long, text string").repartition(parts), "doc_id", "text", 6) == want
+
+
 def test_every_context_has_its_restaurant(spark):
     from multiagg.llm import pitman_yor as p
 
