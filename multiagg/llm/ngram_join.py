@@ -385,22 +385,34 @@ def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text
     return links.unionByName(checkpointed(verified(second, sets, percent)))
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = WORDS, percent: int = PERCENT, most: int = FREQUENT) -> DataFrame:
-    """One row per row of `docs`: doc_id, n_shingles, component_id (the least id in reach of links, its own included), body_key."""
+def rooted_rows(docs: DataFrame, id_col: str, text_col: str, n: int, percent: int, most: int) -> DataFrame:
+    """doc_id, n_shingles, component_id, body_key, and the component's root, which no other component has whatever the ids."""
     profiled = tabled(profiles(docs, frequent_tokens(docs, text_col, n, most), id_col, text_col, n, percent), "profiles")
     roots = components(set_links(docs, profiled, id_col, text_col, n, percent), "x", "y").withColumnRenamed("node", "name")
     rows = profiled.select("doc_id", "body_key", "n_shingles", "name")
     sets = checkpointed(rows.where("n_shingles > 0").groupBy("name").agg(F.min("doc_id").alias("least_id")))
     rooted = sets.join(roots, "name", "left").withColumn("root", F.coalesce("root", "name"))
     least = checkpointed(rooted.groupBy("root").agg(F.min("least_id").alias("component_id")))
-    by_name = checkpointed(rooted.select("name", "root").join(least, "root").select("name", "component_id"))
-    return rows.join(by_name, "name", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), "body_key")
+    by_name = checkpointed(rooted.select("name", "root").join(least, "root").select("name", "root", "component_id"))
+    return rows.join(by_name, "name", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), "body_key", "root")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = WORDS, percent: int = PERCENT, most: int = FREQUENT) -> DataFrame:
+    """One row per row of `docs`: doc_id, n_shingles, component_id (the least id in reach of links, its own included), body_key."""
+    return rooted_rows(docs, id_col, text_col, n, percent, most).drop("root")
 
 
-def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """`docs` with one row of each component, the one with the least id; all columns stay."""
-    k, d = fresh(docs, "__body_key"), fresh(docs, "__id")
-    found = near_duplicates(docs, id_col, text_col, **how)
-    stay = checkpointed(found.where("doc_id <=> component_id or n_shingles = 0").select(F.col("doc_id").alias(d), F.col("body_key").alias(k + "2")).distinct())
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = WORDS, percent: int = PERCENT, most: int = FREQUENT) -> DataFrame:
+    """`docs` with one row of each component, one with the least id (null comes last) and of that the least body key; rows without a shingle and all columns stay."""
+    k, d, r = fresh(docs, "__body_key"), fresh(docs, "__id"), fresh(docs, "__repeats")
+    found = rooted_rows(docs, id_col, text_col, n, percent, most)
+    alike = found.where("n_shingles > 0").groupBy("root", "doc_id", "body_key").agg(F.count("*").alias("n"))
+    best = alike.groupBy("root").agg(F.min(F.struct(F.isnull("doc_id").alias("last"), "doc_id", "body_key", "n")).alias("b"))
+    empty = found.where("n_shingles = 0").select("doc_id", "body_key", F.lit(1).cast("long").alias("n")).distinct()
+    stay = checkpointed(best.select("b.doc_id", "b.body_key", "b.n").unionByName(empty).select(F.col("doc_id").alias(d), F.col("body_key").alias(k + "2"), F.col("n").alias(r)))
     mine = docs.withColumn(k, F.xxhash64(col(text_col)))
-    return mine.join(stay, col(id_col).eqNullSafe(F.col(d)) & (F.col(k) == F.col(k + "2")), "left_semi").drop(k)
+    kept = lambda rows: mine.join(rows, col(id_col).eqNullSafe(F.col(d)) & (F.col(k) == F.col(k + "2")), "left_semi")
+    repeated = stay.where(F.col(r) > 1)
+    if repeated.isEmpty():
+        return kept(stay).drop(k)
+    return kept(stay.where(F.col(r) == 1)).unionByName(kept(repeated).dropDuplicates([id_col, k])).drop(k)

@@ -122,6 +122,17 @@ def test_near_duplicates(docs, none):
     assert 1 in kept and not kept & {2, 3, 8} and drop_near_copies(docs).columns == docs.columns
 
 
+def test_one_row_of_each_component_whatever_the_ids(spark):
+    from multiagg.llm.ngram_join import drop_near_copies
+
+    one, two = words(80), words(80)
+    near = lambda t: t.replace(t.split()[40], "changed", 1)
+    rows = [(7, one, "a"), (7, near(one), "b"), (7, one, "c"), (None, two, "d"), (None, near(two), "e"), (None, two, "f"), (9, "", "g"), (9, "", "h"), (10, words(60), "i"), (None, one, "j")]
+    kept = drop_near_copies(spark.createDataFrame(rows, "doc_id long, text string, `body.key` string").repartition(3)).collect()
+    assert [len({r["body.key"] for r in kept} & set(x)) for x in ("abcj", "def", "gh", "i")] == [1, 1, 2, 1] and len(kept) == 5
+    assert {r["doc_id"] for r in kept if r["body.key"] in "abcj"} == {7}
+
+
 def test_large_group_of_near_copies(spark, monkeypatch):
     from multiagg.llm import ngram_join
 
