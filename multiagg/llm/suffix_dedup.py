@@ -4,15 +4,15 @@ Rolling hashes choose triggers: the place of least hash in each passage-long win
 one, so a trigger lies in every window, and equal windows have it at the same offset. Triggers cut
 a document into phrases; a phrase is the run of windows that share a trigger, with all their
 bytes. The dictionary holds the distinct phrases with their numbers, the parse is each document's
-list of them. Corpus order is needed only as far as a passage is long: two windows are neighbours
-in it, with that much in common, exactly if they agree in trigger, offset and bytes. So
+list of them. No suffix array and no order is made: two windows of a passage's length are equal
+exactly if they agree in trigger, offset and bytes, so grouping and counting hashes finds them. So
 
 * a trigger string met once in the corpus ends the search for its windows;
 * a phrase that stands in the parse twice makes all its windows repeats, without looking at them;
-* the windows of the other phrases of a shared trigger are ordered over the dictionary's distinct
+* the windows of the other phrases of a shared trigger are counted over the dictionary's distinct
   phrases only, each weighted by its number in the parse: first in blocks of neighbouring offsets,
   whose shared bytes must be repeated if any window is, and whose whole bytes settle all of them
-  if they are; only blocks between these two, at the ends of repeats, are ordered one by one.
+  if they are; only blocks between these two, at the ends of repeats, are counted one by one.
 
 Scale: text is scanned twice and never shuffled whole. Pass 1 counts trigger strings, one in about
 70 bytes. A bitmap of fixed size of the repeated ones is broadcast; pass 2 writes the documents
