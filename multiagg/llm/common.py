@@ -5,8 +5,10 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -80,11 +82,23 @@ def bitmap(values: DataFrame, name: str, bits: int) -> np.ndarray:
     return out
 
 
+def bits_for(count: int) -> int:
+    """Bits for a bitmap of so many values: eight each, between 128 KB and 32 MB in all. Beyond that it lets more through, which its users stand."""
+    return 1 << min(max((8 * count).bit_length(), 20), 28)
+
+
 def in_bitmap(values: np.ndarray, words: np.ndarray) -> np.ndarray:
     b = np.mod(values, len(words) * 64)
     return (words[b // 64] >> (b % 64)) & 1 == 1
 
 
+def slices(frames: Iterator[pd.DataFrame], rows: int = 1024) -> Iterator[pd.DataFrame]:
+    """The frames cut into such of at most so many rows, which bounds what is made of one."""
+    for frame in frames:
+        for k in range(0, len(frame), rows):
+            yield frame.iloc[k : k + rows]
+
+
 def powers(n: int, base: int) -> np.ndarray:
     """1, base, base**2, ... modulo 2**64."""
     with np.errstate(over="ignore"):

@@ -1,17 +1,21 @@
 """Jaccard join on word n-grams by token-combination prefixes.
 
-A document is its set of word shingles. Sets are ordered rare tokens first. A set's prefix is
-just long enough that two sets which link must share a signature in their prefixes: a rare token
-counts by itself, frequent tokens (the `FREQUENT` most common ones, a table of fixed size) count
-in pairs from one group, and each group costs one more token of prefix. Prefixes are therefore
-extended where tokens are frequent, and passages that many documents share make few candidates.
-
-Only components are asked for, so a signature list beyond `SHORT_LIST` sets isn't paired out: its
-members are first compared with one of them, the one with the fewest rare tokens. Then, in lists
-that still hold several components, every member outside the main one is compared with all that it
-can still link with. Two sets in one list of frequent pairs that share no rare token have at most
-their frequent tokens in common, which rules most of these out; those that do share one meet in
-its own list. All candidates are verified on their whole sets.
+A document is its set of word shingles. Sets are ordered rare tokens first, then the frequent ones
+(the `FREQUENT` most common, a table of fixed size) from the least to the most common. A set's
+prefix is just long enough that two sets which link must share a signature in their prefixes: a
+rare token counts by itself, frequent tokens count in pairs from one group, and each group costs
+one more token of prefix. Prefixes are therefore extended where tokens are frequent.
+
+Each signature carries its reach: so many tokens two sets can share at most if this is the first
+signature they share. A linking pair passes this bound, and the bound on sizes, in the list of its
+first common signature, so every list may drop the pairs that don't.
+
+Only components are asked for. Lists up to `SHORT_LIST` sets are paired out. Of a longer list every
+member is compared with the hub, the member with the fewest rare tokens. What then still lies outside
+the hub's component is paired with those of the list that sizes and reach leave: it meets the list's
+distinct sizes first, and members by (signature, size). Candidates are sifted by sketches, the numbers
+of a set's tokens in each of some classes, whose lesser numbers add up to a bound of what two sets
+share; what is left is verified on the whole sets.
 
 Equal sets are folded to one before anything else, so copies cost nothing, and they are linked by
 definition. Tokens are 64-bit hashes of word sequences; sets are told apart by 128 bits.
@@ -19,7 +23,7 @@ definition. Tokens are 64-bit hashes of word sequences; sets are told apart by 1
 Defined results: a null text, or one without words, has an empty set and links with nothing; its
 component is itself. With fewer words than `n` the whole sequence is the one shingle. Rows with
 one id are one document in the result's components, and each is returned. A null id is returned
-with a null component unless a linked row has an id.
+with a null component unless a linked row has an id. An empty table gives no row.
 """
 
 from __future__ import annotations
@@ -34,9 +38,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from multiagg.llm.byte_bpe import worker_cache
-from multiagg.llm.common import bitmap, checkpointed, col, distinct, fresh, in_bitmap, powers, tabled
+from multiagg.llm.common import bitmap, bits_for, checkpointed, col, distinct, fresh, in_bitmap, slices, tabled
 from multiagg.llm.components import components
+from multiagg.llm.spans import MIX, SEGMENT, mixed, stretch_hashes
 
 WORDS = 4
 #: A link: PERCENT of the union is shared.
@@ -48,27 +52,12 @@ SHORT_LIST = 8
 CHUNK_TOKENS = 2_000_000
 #: Ratio of sizes within which frequent tokens are grouped alike.
 STEP = 1.6
-#: Texts are hashed in segments of about so many bytes.
-SEGMENT = 1 << 20
-#: Bits of the bitmaps that say which signatures are repeated, and which rows' sets are asked for.
-BITMAP_BITS = 1 << 25
-#: Fixed odd multipliers of the hashes.
-MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63], dtype=np.uint64)
-
-
-LETTERS = np.random.default_rng(4211).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 LOWER[9:14] = 32
 SPACE = re.compile(rb"[\x20\x09-\x0D]")
 
 
-def mixed(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
-
-
 def word_hashes(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the words of some bytes, and where each starts; letters A-Z are lowered, words end at ASCII white space."""
     hashes, starts, at = [], [], 0
@@ -81,24 +70,12 @@ def word_hashes(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
         inside = np.concatenate([[0], data != 32, [0]]).astype(np.int8)
         edge = np.diff(inside)
         first, last = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-        power, back = word_powers(len(data) + 1)
-        with np.errstate(over="ignore"):
-            sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(LETTERS[data] * power[: len(data)])])
-            hashes.append(mixed((sums[last] - sums[first]) * back[first] + (last - first).astype(np.uint64) * MIX[2]))
+        hashes.append(stretch_hashes(data, first, last))
         starts.append(first + at)
         at = stop
     return (np.concatenate(hashes), np.concatenate(starts)) if hashes else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
 
 
-def word_powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    held = worker_cache("word powers", 8)
-    if "size" not in held or held["size"] < n:
-        size = max(n, SEGMENT + 4096)
-        held.update(size=size, tables=(powers(size, int(MIX[0])), powers(size, pow(int(MIX[0]), -1, 1 << 64))))
-    power, back = held["tables"]
-    return power[:n], back[:n]
-
-
 def shingle_sets(texts, n: int = WORDS) -> list[np.ndarray]:
     """Sorted distinct hashes of each text's shingles; many texts are hashed together."""
     out: list[np.ndarray] = []
@@ -164,43 +141,73 @@ def groups_in(s: int, percent: int) -> int:
     return max(1, floor(start * (100 - percent) / 150))
 
 
-def among(tokens: np.ndarray, frequent: np.ndarray) -> np.ndarray:
-    """Which tokens are frequent."""
-    if not len(frequent):
-        return np.zeros(len(tokens), dtype=bool)
-    return frequent[np.minimum(np.searchsorted(frequent, tokens), len(frequent) - 1)] == tokens
+def ranked(tokens: np.ndarray, frequent: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The rank of each token among the frequent ones, from the least common; -1 for rare tokens. `frequent`: sorted tokens, their ranks."""
+    known, ranks = frequent
+    if not len(known):
+        return np.full(len(tokens), -1, dtype=np.int64)
+    at = np.minimum(np.searchsorted(known, tokens), len(known) - 1)
+    return np.where(known[at] == tokens, ranks[at], -1)
+
 
+def signatures(tokens: np.ndarray, rank: np.ndarray, percent: int = PERCENT) -> tuple[np.ndarray, np.ndarray]:
+    """A set's signatures and their reach, given its tokens' ranks: even ones are rare tokens, odd ones pairs of frequent tokens.
 
-def signatures(tokens: np.ndarray, common: np.ndarray, percent: int = PERCENT) -> np.ndarray:
-    """A set's signatures, given which of its tokens are frequent: even ones are rare tokens, odd ones pairs of frequent tokens."""
+    Two linked sets whose prefixes share no rare token have two shared tokens of one group in both
+    prefixes: else, in the prefix that ends first, all but the first token of each group were missing
+    from the other set. Before the second token of such a pair they share one of each group at most.
+    """
     n = len(tokens)
     if n < least_size(percent):
-        return np.zeros(0, dtype=np.int64)
+        return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int32)
+    common = rank >= 0
     rare, often, need = tokens[~common], tokens[common], needed(n, percent)
     one, two = np.uint64(1), ~np.uint64(1)
     with np.errstate(over="ignore"):
-        out = [mixed(rare[:need] * MIX[4]) & two]
+        out, reach = [mixed(rare[:need] * MIX[4]) & two], [n - np.arange(min(len(rare), need))]
         if len(rare) < need:
+            often = often[np.argsort(rank[common])]
             for s in {scheme(n, percent), scheme(ceil(percent * n / 100), percent)}:
-                count = groups_in(s, percent)
-                group = (mixed(often ^ MIX[3]) % np.uint64(count)).astype(np.int64)
+                group = (mixed(often ^ MIX[3]) % np.uint64(groups_in(s, percent))).astype(np.int64)
                 first = np.zeros(len(often), dtype=bool)
                 first[np.unique(group, return_index=True)[1]] = True
                 size = int(np.searchsorted(np.cumsum(~first), need - len(rare))) + 1
                 chosen, group = often[:size], group[:size]
+                past = np.cumsum(first[:size]) - first[:size]
+                most = np.minimum(past + n - len(rare) - np.arange(len(chosen)), len(often))
                 order = np.argsort(group, kind="stable")
-                for part in np.split(chosen[order], np.flatnonzero(np.diff(group[order])) + 1):
+                for part in np.split(order, np.flatnonzero(np.diff(group[order])) + 1):
                     i, j = np.triu_indices(len(part), 1)
-                    out.append(mixed(part[i] * MIX[0] + part[j] * MIX[1] + np.uint64(s)) | one)
-    return (distinct(np.concatenate(out)) if len(out) > 1 else out[0]).view(np.int64)
+                    i, j = part[i], part[j]
+                    keep = 100 * most[j] >= percent * n
+                    out.append(mixed(chosen[i[keep]] * MIX[0] + chosen[j[keep]] * MIX[1] + np.uint64(s)) | one)
+                    reach.append(most[j[keep]])
+    return np.concatenate(out).view(np.int64), np.concatenate(reach).astype(np.int32)
+
+
+def sketch(tokens: np.ndarray) -> bytes:
+    """How many tokens are in each of about a third as many classes; nothing if a number takes more than a byte."""
+    classes = 1 << max((len(tokens) // 3).bit_length() - 1, 0)
+    counts = np.bincount((tokens & np.uint64(classes - 1)).astype(np.int64), minlength=classes)
+    return counts.astype(np.uint8).tobytes() if counts.max(initial=0) < 256 else b""
+
+
+def sketches_allow(a: bytes, b: bytes, percent: int) -> bool:
+    """Whether two sets may link: of each class they share the lesser number at most. Classes of the larger set are folded to those of the smaller."""
+    if not a or not b:
+        return True
+    p, q = (np.frombuffer(x, np.uint8).astype(np.int64) for x in (a, b))
+    width = min(len(p), len(q))
+    most = int(np.minimum(p.reshape(-1, width).sum(0), q.reshape(-1, width).sum(0)).sum())
+    return 100 * most >= percent * (int(p.sum()) + int(q.sum()) - most)
 
 
 def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(col(id_col).alias("doc_id"), F.xxhash64(col(text_col)).alias("body_key"), col(text_col).alias("text"))
 
 
-def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, most: int = FREQUENT, least: int = FREQUENT_FROM) -> np.ndarray:
-    """The most common tokens of the corpus, sorted: all from some count on, at most `most`.
+def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, most: int = FREQUENT, least: int = FREQUENT_FROM) -> tuple[np.ndarray, np.ndarray]:
+    """The most common tokens of the corpus, at most `most`: sorted, and their ranks by count, the least common first.
 
     Tasks count tokens over stretches of distinct sets and report those they met twice; so counts
     run low for tokens that are thinly spread, which moves them to the rare ones and loses no link.
@@ -215,7 +222,7 @@ def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, mos
             repeated = distinct(tokens[again])
             return pd.DataFrame({"token": repeated.view(np.int64), "times": np.searchsorted(tokens, repeated, "right") - np.searchsorted(tokens, repeated)})
 
-        for frame in frames:
+        for frame in slices(frames):
             for tokens in shingle_sets(frame["text"], n):
                 name = set_name(tokens)
                 if name in seen:
@@ -229,38 +236,53 @@ def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, mos
         yield counted()
 
     counts = docs.select(col(text_col).alias("text")).mapInPandas(work, "token long, times long").groupBy("token").agg(F.sum("times").alias("times"))
-    counts = tabled(counts.where(F.col("times") >= least), "counts")
-    # The least count that at most `most` tokens reach; tokens are only sent to the driver once it is known.
-    top = F.least("times", F.lit(10_000)).alias("times")
-    room, start = most, None
-    for r in sorted(counts.select(top).groupBy("times").agg(F.count("*").alias("tokens")).collect(), key=lambda r: -r["times"]):
-        room -= r["tokens"]
-        if room < 0:
-            break
-        start = r["times"]
-    if start is None:
-        return np.zeros(0, dtype=np.uint64)
-    return np.sort(counts.where(F.col("times") >= start).select("token").toArrow()["token"].to_numpy().view(np.uint64))
-
-
-def profiles(docs: DataFrame, frequent: np.ndarray, id_col: str, text_col: str, n: int, percent: int) -> DataFrame:
-    """(doc_id, body_key, n_shingles, n_frequent, name, signatures) of every row; within a task, repeats of a set leave out the signatures."""
+    counts = counts.where(F.col("times") >= least).select("token", "times", F.expr("shiftleft(times, 20) | (xxhash64(token) & 1048575L)").alias("key"))
+    counts = tabled(counts, "counts")
+    found = counts.where(F.col("key") >= _least_key(counts, most)).select("token", "times").toArrow()
+    tokens, times = found["token"].to_numpy().view(np.uint64), found["times"].to_numpy()
+    ranks = np.empty(len(tokens), dtype=np.int32)
+    ranks[np.lexsort((tokens, times))] = np.arange(len(tokens), dtype=np.int32)
+    order = np.argsort(tokens)
+    return tokens[order], ranks[order]
+
+
+def _least_key(counts: DataFrame, most: int) -> int:
+    """A key that nearly `most` rows reach, and no more; found in ranges that are split again until a hundredth of `most` is left open."""
+    low, high, room = 0, 1 + (counts.agg(F.max("key")).first()[0] or 0), most
+    while True:
+        width = max(1, -(-(high - low) // 256))
+        rows = counts.where(F.col("key").between(low, high - 1)).groupBy(F.expr(f"(key - {low}) div {width}").alias("part")).agg(F.count("*").alias("n")).collect()
+        for part, n in sorted(((r["part"], r["n"]) for r in rows), reverse=True):
+            if n > room:
+                break
+            room -= n
+        else:
+            return low
+        low, high = low + part * width, min(high, low + (part + 1) * width)
+        if width == 1 or 100 * room <= most:
+            return high
+
+
+def profiles(docs: DataFrame, frequent: tuple[np.ndarray, np.ndarray], id_col: str, text_col: str, n: int, percent: int) -> DataFrame:
+    """(doc_id, body_key, n_shingles, n_frequent, name, sketch, signatures, reach) of every row; within a task, repeats of a set leave out the last three."""
     kind = docs.select(col(id_col)).schema[0].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(frequent)
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         seen: set[bytes] = set()
-        for frame in frames:
+        for frame in slices(frames):
             rows = []
             for doc, key, tokens in zip(frame["doc_id"], frame["body_key"], shingle_sets(frame["text"], n)):
                 name = set_name(tokens)
-                common = np.zeros(0, bool) if name in seen else among(tokens, shared.value)
-                sig = np.zeros(0, np.int64) if name in seen else signatures(tokens, common, percent)
+                if name in seen:
+                    rows.append((doc, key, len(tokens), 0, name, b"", np.zeros(0, np.int64), np.zeros(0, np.int32)))
+                    continue
                 seen.add(name)
-                rows.append((doc, key, len(tokens), int(common.sum()), name, sig))
-            yield pd.DataFrame(rows, columns=["doc_id", "body_key", "n_shingles", "n_frequent", "name", "signatures"])
+                rank = ranked(tokens, shared.value)
+                rows.append((doc, key, len(tokens), int((rank >= 0).sum()), name, sketch(tokens), *signatures(tokens, rank, percent)))
+            yield pd.DataFrame(rows, columns=["doc_id", "body_key", "n_shingles", "n_frequent", "name", "sketch", "signatures", "reach"])
 
-    return _texts(docs, id_col, text_col).mapInPandas(work, f"doc_id {kind}, body_key long, n_shingles long, n_frequent long, name binary, signatures array<long>")
+    return _texts(docs, id_col, text_col).mapInPandas(work, f"doc_id {kind}, body_key long, n_shingles long, n_frequent long, name binary, sketch binary, signatures array<long>, reach array<int>")
 
 
 def sets_of(docs: DataFrame, profiled: DataFrame, names: DataFrame, id_col: str, text_col: str, n: int) -> DataFrame:
@@ -271,10 +293,10 @@ def sets_of(docs: DataFrame, profiled: DataFrame, names: DataFrame, id_col: str,
     chosen = profiled.join(names, "name", "left_semi").groupBy("name").agg(F.min(F.struct("doc_id", "body_key")).alias("row"))
     marks = chosen.select(F.xxhash64("row.doc_id", "row.body_key").alias("r"))
     both = checkpointed(marks.select(F.explode(F.array("r", F.xxhash64("r"))).alias("r")))
-    shared = docs.sparkSession.sparkContext.broadcast(bitmap(both, "r", BITMAP_BITS))
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap(both, "r", bits_for(both.count())))
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
+        for frame in slices(frames):
             asked = frame["text"][in_bitmap(frame["r"].to_numpy(dtype=np.int64), shared.value) & in_bitmap(frame["r2"].to_numpy(dtype=np.int64), shared.value)]
             sets = shingle_sets(asked, n)
             yield pd.DataFrame({"name": [set_name(s) for s in sets], "tokens": [s.tobytes() for s in sets]})
@@ -286,11 +308,22 @@ def sets_of(docs: DataFrame, profiled: DataFrame, names: DataFrame, id_col: str,
     return made if often.isEmpty() else made.dropDuplicates(["name"])
 
 
+def sifted(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
+    """The pairs (x, y, c) whose sketches allow a link."""
+
+    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            yield frame.loc[np.array([sketches_allow(a, b, percent) for a, b in zip(frame["sx"], frame["sy"])], dtype=bool), ["x", "y", "c"]]
+
+    left, right = sketches.select(F.col("name").alias("x"), F.col("sketch").alias("sx")), sketches.select(F.col("name").alias("y"), F.col("sketch").alias("sy"))
+    return pairs.join(left, "x").join(right, "y").select("x", "y", "c", "sx", "sy").mapInPandas(work, "x binary, y binary, c long")
+
+
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (x, y) whose whole sets link."""
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
+        for frame in slices(frames):
             keep = []
             for a, b in zip(frame["tx"], frame["ty"]):
                 p, q = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
@@ -305,81 +338,73 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _may_link(percent: int) -> str:
-    """On (sig, nx, fx, ny, fy): sizes allow a link, and in a list of frequent pairs the frequent tokens alone do."""
-    least = "least(fx, fy)"
-    return f"100 * least(nx, ny) >= {percent} * greatest(nx, ny) and (sig % 2 = 0 or 100 * {least} >= {percent} * (nx + ny - {least}))"
-
-
-def _behind(n: str, f: str, percent: int) -> str:
-    """Tokens of a set that its rare prefix leaves out."""
-    return f"{n} - least({n} - {f}, {n} - cast(ceil({percent} * {n} / 100) as long) + 1)"
+    """On (nx, rx, ny, ry): sizes and reach allow a link."""
+    return f"100 * least(nx, ny) >= {percent} * greatest(nx, ny) and 100 * least(rx, ry) >= {percent} * (nx + ny - least(rx, ry))"
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
-    """The greater name as x."""
-    swap = lambda a, b: F.when(F.col("x") > F.col("y"), F.col(a)).otherwise(F.col(b))
-    return pairs.select(swap("x", "y").alias("x"), swap("nx", "ny").alias("nx"), swap("fx", "fy").alias("fx"), swap("y", "x").alias("y"), swap("ny", "nx").alias("ny"), swap("fy", "fx").alias("fy"), "c")
-
-
-def _bounded(pairs: DataFrame, long_: DataFrame, percent: int) -> DataFrame:
-    """Pairs that their rare prefixes don't rule out, given in `c` how many rare tokens of short lists both hold.
-
-    Of the two rare prefixes one ends first; its tokens stand in the other one if they are shared. So the sets share at most `c`, what either holds of longer
-    lists of rare tokens, and the larger of what lies behind the prefixes.
-    """
-    lx, ly = (long_.select(F.col("name").alias(side + "n"), F.col("held").alias(side + "l")) for side in "xy")
-    both = pairs.join(lx, F.col("x") == F.col("xn"), "left").join(ly, F.col("y") == F.col("yn"), "left")
-    most = f"c + least(coalesce(xl, 0), coalesce(yl, 0)) + greatest({_behind('nx', 'fx', percent)}, {_behind('ny', 'fy', percent)})"
-    return both.withColumn("most", F.expr(most)).where(f"100 * most >= {percent} * (nx + ny - most)").select("x", "y")
+    """(x, y), the greater name as x."""
+    return pairs.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y"))
 
 
 def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """Links between different sets that span their components: (x, y) by name."""
-    each = profiled.select(F.explode("signatures").alias("sig"))
-    repeated = each.groupBy("sig").agg(F.count("*").alias("times")).where("times > 1").select("sig")
-    shared = docs.sparkSession.sparkContext.broadcast(bitmap(repeated, "sig", BITMAP_BITS))
+    each = profiled.select(F.xxhash64("name").alias("set"), F.explode("signatures").alias("sig"))
+    repeated = checkpointed(each.groupBy("sig").agg(F.min("set").alias("a"), F.max("set").alias("b")).where("a <> b").select("sig"))
+    sketches = tabled(profiled.where("size(signatures) > 0").groupBy("name").agg(F.first("sketch").alias("sketch")), "sketches")
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap(repeated, "sig", bits_for(repeated.count())))
 
     def again(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            frame["signatures"] = [s[in_bitmap(s, shared.value)] for s in frame["signatures"]]
-            yield frame[frame["signatures"].map(len) > 0]
-
-    may = profiled.where("size(signatures) > 0").select("name", F.col("n_shingles").alias("n"), F.col("n_frequent").alias("f"), "signatures").mapInPandas(again, "name binary, n long, f long, signatures array<long>")
-    posted = tabled(may.select("name", "n", "f", F.explode("signatures").alias("sig")).distinct(), "posted")
-    # The hub of a list has the fewest rare tokens.
-    key = F.expr("shiftleft(least(n - f, 1048575L), 42) | (xxhash64(name) & 4398046511103L)")
-    lists = checkpointed(posted.groupBy("sig").agg(F.count("*").alias("members"), F.min(key).alias("hub"), F.min("n").alias("smallest")).where("members > 1"))
-    listed = tabled(posted.join(lists, "sig").withColumn("key", key), "listed")
+        for frame in slices(frames):
+            hits = [in_bitmap(s, shared.value) for s in frame["signatures"]]
+            found = frame.assign(signatures=[s[h] for s, h in zip(frame["signatures"], hits)], reach=[r[h] for r, h in zip(frame["reach"], hits)])
+            yield found[[bool(h.any()) for h in hits]]
+
+    may = profiled.where("size(signatures) > 0").select("name", F.col("n_shingles").alias("n"), F.col("n_frequent").alias("f"), "signatures", "reach")
+    may = may.mapInPandas(again, "name binary, n long, f long, signatures array<long>, reach array<int>")
+    posted = may.select("name", "n", "f", F.explode(F.arrays_zip("signatures", "reach")).alias("s")).select("name", "n", "f", F.col("s.signatures").alias("sig"), F.col("s.reach").cast("long").alias("r"))
+    posted = tabled(posted.groupBy("sig", "name").agg(F.first("n").alias("n"), F.first("f").alias("f"), F.max("r").alias("r")), "posted")
+    hub = F.min(F.struct((F.col("n") - F.col("f")).alias("rare"), F.col("name").alias("hub"), F.col("n").alias("hub_n")))
+    lists = checkpointed(posted.groupBy("sig").agg(F.count("*").alias("members"), hub.alias("h"), F.min("n").alias("smallest")).where("members > 1").select("sig", "members", "h.hub", "h.hub_n", "smallest"))
+    listed = tabled(posted.join(lists, "sig"), "listed")
     in_short, in_long = listed.where(f"members <= {SHORT_LIST}"), listed.where(f"members > {SHORT_LIST}")
-    pair = "struct(a.name as x, a.n as nx, a.f as fx, b.name as y, b.n as ny, b.f as fy)"
-    few = in_short.groupBy("sig").agg(F.collect_list(F.struct("name", "n", "f")).alias("m"))
-    few = few.select("sig", F.explode(F.expr(f"flatten(transform(m, a -> transform(filter(m, b -> a.name > b.name), b -> {pair})))")).alias("p")).select("sig", "p.*")
-    few = few.where(_may_link(percent)).withColumn("c", F.expr("if(sig % 2 = 0, 1L, 0L)")).drop("sig")
-    hubs = in_long.where("key = hub").select("sig", F.col("name").alias("y"), F.col("n").alias("ny"), F.col("f").alias("fy"))
-    to_hub = in_long.select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx")).join(checkpointed(hubs), "sig").where(f"x <> y and {_may_link(percent)}")
-    to_hub = _ordered(to_hub.withColumn("c", F.lit(0).cast("long"))).distinct()
-    asked = checkpointed(few.unionByName(to_hub).groupBy("x", "nx", "fx", "y", "ny", "fy").agg(F.sum("c").alias("c")))
-    long_ = checkpointed(in_long.where("sig % 2 = 0").groupBy("name").agg(F.count("*").alias("held")))
-    open_ = checkpointed(_bounded(asked, long_, percent))
-    # Each set is first compared with one other; then whatever still joins two components is.
-    first = checkpointed(open_.groupBy("x").agg(F.min("y").alias("y")))
-    named = checkpointed(open_.select(F.col("x").alias("name")).union(open_.select("y")).distinct())
+    pair = "struct(a.name as x, a.n as nx, a.r as rx, b.name as y, b.n as ny, b.r as ry)"
+    few = in_short.groupBy("sig").agg(F.collect_list(F.struct("name", "n", "r")).alias("m"))
+    few = few.select(F.explode(F.expr(f"flatten(transform(m, a -> transform(filter(m, b -> a.name > b.name), b -> {pair})))")).alias("p")).select("p.*")
+    few = tabled(sifted(few.where(_may_link(percent)).groupBy("x", "y").agg(F.count("*").alias("c")), sketches, percent), "few")
+    to_hub = in_long.where(f"name <> hub and 100 * least(n, hub_n) >= {percent} * greatest(n, hub_n)").select(F.greatest("name", "hub").alias("x"), F.least("name", "hub").alias("y"))
+    to_hub = tabled(sifted(to_hub.groupBy("x", "y").agg(F.count("*").alias("c")), sketches, percent), "to_hub")
+    # Each set is first compared with the one that it shares most lists with, then the members of long lists with hubs of another component, then whatever still joins two components.
+    either = few.union(to_hub)
+    both = either.select(F.col("x").alias("name"), F.struct("c", F.col("y").alias("other")).alias("b")).union(either.select("y", F.struct("c", F.col("x").alias("other"))))
+    best = both.groupBy("name").agg(F.max("b").alias("b")).select(F.col("name").alias("x"), F.col("b.other").alias("y"))
+    first = checkpointed(_ordered(best).distinct())
+    ends = lambda pairs: pairs.select(F.col("x").alias("name")).union(pairs.select("y")).distinct()
+    named = checkpointed(ends(either))
     sets = sets_of(docs, profiled, named, id_col, text_col, n)
+
+    def apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
+        sides = [roots.select(F.col("node").alias(side + "n"), F.col("root").alias(side + "r")) for side in "xy"]
+        joined = pairs.select("x", "y").join(sides[0], F.col("x") == F.col("xn"), "left").join(sides[1], F.col("y") == F.col("yn"), "left")
+        return joined.where("coalesce(xr, x) <> coalesce(yr, y)").select("x", "y")
+
     links = checkpointed(verified(first, sets, percent))
+    hubs = checkpointed(apart(to_hub, components(links, "x", "y")).join(first, ["x", "y"], "left_anti"))
+    links = checkpointed(links.unionByName(verified(hubs, sets, percent)))
     roots = components(links, "x", "y")
-    hub_roots = hubs.select("sig", F.col("y").alias("hub_name")).join(roots, F.col("hub_name") == F.col("node"), "left").select("sig", F.coalesce("root", "hub_name").alias("main"))
-    member = in_long.select("sig", "name", "n", "f", "smallest").join(roots, F.col("name") == F.col("node"), "left").withColumn("root", F.coalesce("root", "name")).drop("node")
-    member = checkpointed(member.join(checkpointed(hub_roots), "sig"))
-    alive = f"root <> main and (sig % 2 = 0 or 100 * f >= {percent} * (n + greatest(smallest, f) - f))"
-    outside = checkpointed(member.where(alive).select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("f").alias("fx"), F.col("root").alias("rx")))
-    rest = member.select("sig", F.col("name").alias("y"), F.col("n").alias("ny"), F.col("f").alias("fy"), F.col("root").alias("ry"))
-    more = _ordered(outside.join(rest, "sig").where(f"rx <> ry and {_may_link(percent)}").withColumn("c", F.lit(0).cast("long"))).distinct()
-    more = _bounded(checkpointed(more).join(asked, ["x", "y"], "left_anti"), long_, percent)
-    later = more.unionByName(open_.join(first, ["x", "y"], "left_anti"))
     root_of = lambda side: roots.select(F.col("node").alias(side + "n"), F.col("root").alias(side + "r"))
-    later = later.join(root_of("x"), F.col("x") == F.col("xn"), "left").join(root_of("y"), F.col("y") == F.col("yn"), "left")
-    second = checkpointed(later.where("coalesce(xr, x) <> coalesce(yr, y)").select("x", "y").distinct())
-    unknown = checkpointed(second.select(F.col("x").alias("name")).union(second.select("y")).distinct().join(named, "name", "left_anti"))
+    member = in_long.select("sig", "name", "n", "r", "hub", "smallest").join(root_of("x"), F.col("name") == F.col("xn"), "left").join(root_of("y"), F.col("hub") == F.col("yn"), "left")
+    member = tabled(member.select("sig", "name", "n", "r", "smallest", F.coalesce("xr", "name").alias("root"), F.coalesce("yr", "hub").alias("main")), "members")
+    outside = member.where(f"root <> main and 100 * r >= {percent} * (n + smallest - r)").select("sig", F.col("name").alias("x"), F.col("n").alias("nx"), F.col("r").alias("rx"), F.col("root").alias("xr"))
+    outside = checkpointed(outside)
+    sizes = checkpointed(member.join(outside.select("sig").distinct(), "sig", "left_semi").groupBy("sig", F.col("n").alias("ny")).agg(F.max("r").alias("ry")))
+    asked = outside.join(sizes, "sig").where(_may_link(percent)).drop("ry")
+    others = member.select("sig", F.col("n").alias("ny"), F.col("name").alias("y"), F.col("r").alias("ry"), F.col("root").alias("yr"))
+    more = _ordered(asked.join(others, ["sig", "ny"]).where(f"xr <> yr and {_may_link(percent)}"))
+    more = sifted(more.distinct().withColumn("c", F.lit(0).cast("long")), sketches, percent).select("x", "y")
+    later = apart(few, roots).union(more).distinct()
+    second = checkpointed(later.join(first.union(hubs), ["x", "y"], "left_anti"))
+    unknown = checkpointed(ends(second).join(named, "name", "left_anti"))
     if not unknown.isEmpty():
         sets = sets.unionByName(sets_of(docs, profiled, unknown, id_col, text_col, n))
     return links.unionByName(checkpointed(verified(second, sets, percent)))
