@@ -6,8 +6,11 @@ all rows at once; rows without a pair left are taken out and columns that have b
 are cut off. A piece beyond `LONG` symbols is merged with a heap instead, which gives the same
 ids in time n log n.
 
-Defined results: a null text counts as empty and has no ids. Equal pieces are encoded once per
-batch and kept in a cache of fixed size in the worker, which only saves time.
+Texts are cut into spans that no piece crosses; equal spans are encoded once (see `spans`) and told
+apart by a 64-bit hash. Ids, their decimals and the decoded bytes are made of arrays, not of lists.
+
+Defined results: a null text counts as empty and has no ids. Repeated rows are encoded each by
+itself, an empty table gives no row, and only the columns asked for are read, whatever others are called.
 """
 
 from __future__ import annotations
@@ -15,23 +18,27 @@ from __future__ import annotations
 import base64
 import hashlib
 import heapq
-import sys
-import types
 from collections.abc import Callable, Iterator
-from itertools import chain
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 
-from multiagg.llm.common import col, read_bytes, runs, vocabulary_file
+from multiagg.llm.common import col, read_bytes, runs, slices, vocabulary_file
+from multiagg.llm.spans import ids_of, spread, worker_cache
 
 RANKS_FILE = "byte_bpe_50k.tiktoken"
 LONG = 512
 CELLS = 1 << 20
 BUCKETS = (1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 14, 16, 20, 24, 32, 48, 64, 128, 256, LONG)
-CACHE_PIECES = 150_000
 NONE = np.int32(2**31 - 1)
+IS_LETTER = np.zeros(256, dtype=bool)
+IS_LETTER[[*range(65, 91), *range(97, 123)]] = True
+#: Bytes that no white space starts with: printable ASCII, and all lead bytes but those of the blocks that hold white space.
+FOLLOWS = np.zeros(256, dtype=bool)
+FOLLOWS[0x21:0x7F] = FOLLOWS[0xC3:0xF5] = True
+FOLLOWS[[0xE1, 0xE2, 0xE3]] = False
+ENDS_LETTERS = ~IS_LETTER & (np.arange(256) < 0x80)
 
 
 class PairTable:
@@ -148,11 +155,6 @@ def merge_long(symbols: np.ndarray, table: PairTable) -> list[int]:
     return [x for x in ids if x >= 0]
 
 
-def spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """The places start..start+size-1 of each stretch, end to end."""
-    return np.repeat(starts, sizes) + runs(sizes)
-
-
 def merge_all(symbols: np.ndarray, sizes: np.ndarray, table: PairTable) -> tuple[np.ndarray, np.ndarray]:
     """Sequences of symbols, end to end with their sizes, after all merges: (flat ids, ids per sequence)."""
     starts, out_sizes, parts = np.cumsum(sizes) - sizes, np.minimum(sizes, 1), []
@@ -178,15 +180,6 @@ def merge_all(symbols: np.ndarray, sizes: np.ndarray, table: PairTable) -> tuple
     return out, out_sizes
 
 
-def worker_cache(key: str, size: int) -> dict:
-    """A dictionary that outlives the task in this worker process, emptied when it has grown to `size`."""
-    holder = sys.modules.setdefault("__multiagg_worker_cache__", types.ModuleType("__multiagg_worker_cache__"))
-    found = holder.__dict__.setdefault(key, {})
-    if len(found) > size:
-        found.clear()
-    return found
-
-
 class ByteCodec:
     """The ranks of one vocabulary: encodes lists of texts and decodes ids."""
 
@@ -203,53 +196,121 @@ class ByteCodec:
         splits = [(ranks[t[:i]], ranks[t[i:]], r) for t, r in ranks.items() for i in range(1, len(t)) if t[:i] in ranks and t[i:] in ranks]
         left, right, rank = (np.array(x, dtype=np.int64) for x in zip(*splits)) if splits else (np.zeros(0, np.int64),) * 3
         self.table = PairTable(left, right, rank, rank)
-
-    def pieces(self, pieces: list[str]) -> list[list[int]]:
-        """Ids of each piece; one that is itself in the vocabulary is its own id."""
+        names = np.array([f"{i} " for i in range(len(self.bytes))], dtype=bytes)
+        self.decimals, self.decimal_size = names.view(np.uint8).reshape(len(names), -1), np.char.str_len(names)
+        self.token_size = np.fromiter(map(len, self.bytes), np.int64, len(self.bytes))
+        self.token_start, self.token_bytes = np.cumsum(self.token_size) - self.token_size, np.frombuffer(b"".join(self.bytes), dtype=np.uint8)
+        flat, per = merge_all(self.single[self.token_bytes], self.token_size, self.table)
+        found = np.full(len(per), -1)
+        found[per == 1] = flat[(np.cumsum(per) - per)[per == 1]]
+        self.odd = {self.bytes[i]: i for i in np.flatnonzero((found != np.arange(len(per))) & (self.token_size > 0)).tolist()}
+
+    def pieces(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(flat ids, ids per piece); a piece that is itself in the vocabulary is its own id."""
         raw = [p.encode("utf-8", "surrogatepass") for p in pieces]
-        out: list = [[r] if (r := self.ranks.get(b)) is not None else None for b in raw]
-        todo = [i for i, x in enumerate(out) if x is None]
-        joined = [raw[i] for i in todo]
+        own = np.array([self.ranks.get(b, -1) for b in raw], dtype=np.int64)
+        todo = np.flatnonzero(own < 0)
+        joined = [raw[i] for i in todo.tolist()]
         flat, sizes = merge_all(self.single[np.frombuffer(b"".join(joined), dtype=np.uint8)], np.fromiter(map(len, joined), np.int64, len(joined)), self.table)
-        ids, at = flat.tolist(), 0
-        for i, n in zip(todo, sizes.tolist()):
-            out[i] = ids[at : at + n]
-            at += n
-        return out
-
-    def chunks(self, text: str | None) -> list[str]:
-        """Stretches of the text that no piece crosses: with single spaces alone it is cut before each of them, else piece by piece."""
-        if not text:
-            return []
-        if "  " in text or "\0" in text or text[-1] == " ":
-            return self.find(text)
-        return text.replace(" ", "\0 ").split("\0")
-
-    def encode(self, texts: list[str | None]) -> list[list[int]]:
-        cache = worker_cache(self.key, CACHE_PIECES)
-        cut = [self.chunks(t) for t in texts]
-        new = list(set().union(*cut).difference(cache))
-        found = [[c] if c[1:].isalpha() and (c[0] == " " or c[0].isalpha()) else self.find(c) for c in new]
-        distinct = list(set().union(*found))
-        ids = dict(zip(distinct, self.pieces(distinct)))
-        cache.update((c, ids[f[0]] if len(f) == 1 else [i for p in f for i in ids[p]]) for c, f in zip(new, found))
-        return [list(chain.from_iterable(map(cache.__getitem__, chunks))) for chunks in cut]
-
-    def decode(self, ids: list[int]) -> bytes:
+        per = np.ones(len(raw), dtype=np.int64)
+        per[todo] = sizes
+        starts, out = np.cumsum(per) - per, np.empty(int(per.sum()), dtype=np.int64)
+        out[starts[own >= 0]] = own[own >= 0]
+        out[spread(starts[todo], sizes)] = flat
+        return out, per
+
+    def cut(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Spans of the texts. One starts with each text; at each space before a sign that is no white space, as the pattern takes such a space into the piece that
+        follows; where a run of ASCII letters ends at another ASCII sign; and at a letter behind a line end or tab."""
+        before, here = data[:-1], data[1:]
+        begins = np.zeros(len(data), dtype=bool)
+        begins[:-1] = (before == 32) & FOLLOWS[here]
+        begins[1:] |= IS_LETTER[before] & ENDS_LETTERS[here] | IS_LETTER[here] & (before >= 9) & (before <= 13)
+        begins[starts[starts < ends]] = True
+        begins[ends[ends < len(data)]] = False  # the line ends between the texts
+        first = np.flatnonzero(begins)
+        of = np.searchsorted(starts, first, "right") - 1
+        return first, np.minimum(np.append(first[1:], len(data)), ends[of]), of
+
+    def learn(self, data: np.ndarray, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(flat ids, ids per span) of spans; one of ASCII letters, with a space before it or not, is one piece."""
+        strange = np.concatenate([[0], np.cumsum(~IS_LETTER[data])])
+        head = first + (data[first] == 32)
+        plain = (strange[last] == strange[head]) & (last > head)
+        one = np.flatnonzero(plain)
+        sizes = (last - first)[one]
+        flat, per = merge_all(self.single[data[spread(first[one], sizes)]], sizes, self.table)
+        counts = np.empty(len(first), dtype=np.int64)
+        counts[one] = per
+        many = np.flatnonzero(~plain)
+        found = [self.find(data[a:b].tobytes().decode("utf-8", "surrogatepass")) for a, b in zip(first[many].tolist(), last[many].tolist())]
+        pieces, sizes = self.pieces([p for f in found for p in f])
+        ends = np.concatenate([[0], np.cumsum([len(f) for f in found], dtype=np.int64)])
+        ids_before = np.concatenate([[0], np.cumsum(sizes)])
+        counts[many] = np.diff(ids_before[ends])
+        out, at = np.empty(int(counts.sum()), dtype=np.int64), np.cumsum(counts) - counts
+        out[spread(at[one], counts[one])] = flat
+        out[spread(at[many], counts[many])] = pieces
+        for i, span in self.odd_spans(data, first[one], last[one]):
+            out[at[one[i]] : at[one[i]] + 1], counts[one[i]] = span, -counts[one[i]]
+        if (counts < 0).any():
+            keep = np.ones(len(out), dtype=bool)
+            for i in np.flatnonzero(counts < 0).tolist():
+                keep[at[i] + 1 : at[i] - counts[i]] = False
+            out, counts = out[keep], np.where(counts < 0, 1, counts)
+        return out, counts
+
+    def odd_spans(self, data: np.ndarray, first: np.ndarray, last: np.ndarray) -> Iterator[tuple[int, int]]:
+        """Spans that are in the vocabulary although merging doesn't lead to them, with their ids."""
+        if self.odd:
+            for i, (a, b) in enumerate(zip(first.tolist(), last.tolist())):
+                if (r := self.odd.get(data[a:b].tobytes())) is not None:
+                    yield i, r
+
+    def ids(self, texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(flat ids, ids per text) of some texts at a time."""
+        return ids_of(texts, self.key, self.cut, self.learn)
+
+    def encode(self, texts: list[str | None]) -> list[np.ndarray]:
+        """The ids of each text."""
+        return [x for flat, per in self.ids(texts) for x in np.split(flat, np.cumsum(per)[:-1])]
+
+    def written(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids as decimals, each with a space behind it; and how many signs each takes."""
+        width = self.decimal_size[ids]
+        return self.decimals[ids][np.arange(self.decimals.shape[1]) < width[:, None]], width
+
+    def decoded(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The bytes that the ids stand for; and how many each does."""
+        sizes = self.token_size[ids]
+        return self.token_bytes[spread(self.token_start[ids], sizes)], sizes
+
+    def round_trips(self, texts: list[str | None]) -> Iterator[tuple[int, bytes, bytes]]:
+        """Of each text the number of ids, the ids as decimals joined by spaces, and the bytes that they decode to."""
+        for flat, per in self.ids(texts):
+            names, width = self.written(flat)
+            raw, sizes = self.decoded(flat)
+            cut = np.concatenate([[0], np.cumsum(per)])
+            a, b = (np.concatenate([[0], np.cumsum(x)])[cut].tolist() for x in (width, sizes))
+            names, raw = names.tobytes(), raw.tobytes()
+            for i, n in enumerate(per.tolist()):
+                yield n, names[a[i] : max(a[i], a[i + 1] - 1)], raw[b[i] : b[i + 1]]
+
+    def decode(self, ids) -> bytes:
         return b"".join(map(self.bytes.__getitem__, ids))
 
 
 def codec_of(data: bytes, pattern: str) -> ByteCodec:
     """The codec of these ranks, built once per worker process."""
-    held = worker_cache("codecs", 8)
+    held = worker_cache("codecs")
     key = hashlib.sha256(data + pattern.encode()).hexdigest()
     if key not in held:
         held[key] = ByteCodec(data, pattern)
     return held[key]
 
 
-def map_encoded(docs: DataFrame, derive: Callable, schema: str, keep: list[str], text_col: str = "text", ranks_path: str | None = None, pattern: str | None = None, batch: int = 1024) -> DataFrame:
-    """`derive(kept columns, ids of each text, codec)` on batches of rows: one pass, no shuffle.
+def map_encoded(docs: DataFrame, derive: Callable, schema: str, keep: list[str], text_col: str = "text", ranks_path: str | None = None, pattern: str | None = None) -> DataFrame:
+    """`derive(kept columns, texts, codec)` on batches of rows: one pass, no shuffle.
 
     The vocabulary file is read on the driver and broadcast: its size is fixed. Ids never leave
     the worker unless `derive` returns them.
@@ -261,10 +322,8 @@ def map_encoded(docs: DataFrame, derive: Callable, schema: str, keep: list[str],
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         codec = codec_of(shared.value, pattern)
-        for frame in frames:
-            for k in range(0, len(frame), batch):
-                part = frame.iloc[k : k + batch]
-                yield derive(part[keep], codec.encode(part["__text"].tolist()), codec)
+        for part in slices(frames):
+            yield derive(part[keep], part["__text"].tolist(), codec)
 
     return docs.select(*(col(c) for c in keep), col(text_col).alias("__text")).mapInPandas(work, schema)
 
@@ -273,8 +332,8 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **ho
     """(id, ids array<int>) of each row."""
     kind = docs.select(col(id_col)).schema[0].dataType.simpleString()
 
-    def derive(kept, ids, codec):
-        return pd.DataFrame({"id": kept[id_col], "ids": [np.array(x, dtype=np.int32) for x in ids]})
+    def derive(kept, texts, codec):
+        return pd.DataFrame({"id": kept[id_col], "ids": codec.encode(texts)})
 
     return map_encoded(docs, derive, f"id {kind}, ids array<int>", [id_col], text_col, **how)
 
@@ -297,13 +356,8 @@ def decode(encoded: DataFrame, ids_col: str = "ids", ranks_path: str | None = No
 def digests(docs: DataFrame, **how) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 of each row of `docs`."""
 
-    def derive(kept, ids, codec):
-        names = [str(i) for i in range(len(codec.bytes))]
-        return pd.DataFrame({
-            "doc_id": kept["doc_id"],
-            "n_tokens": np.array([len(x) for x in ids], dtype=np.int64),
-            "ids_sha256": [hashlib.sha256(" ".join(map(names.__getitem__, x)).encode()).hexdigest() for x in ids],
-            "decoded_sha256": [hashlib.sha256(codec.decode(x)).hexdigest() for x in ids],
-        })
+    def derive(kept, texts, codec):
+        made = [(n, hashlib.sha256(ids).hexdigest(), hashlib.sha256(raw).hexdigest()) for n, ids, raw in codec.round_trips(texts)]
+        return pd.DataFrame(made, columns=["n_tokens", "ids_sha256", "decoded_sha256"]).assign(doc_id=kept["doc_id"].to_numpy())[["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]]
 
     return map_encoded(docs, derive, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string", ["doc_id"], **how)

@@ -26,19 +26,23 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from multiagg.llm.byte_bpe import PairTable, merge_all, worker_cache
-from multiagg.llm.common import col, read_bytes, tabled, vocabulary_file
+from multiagg.llm.byte_bpe import ENDS_LETTERS, IS_LETTER, PairTable, merge_all
+from multiagg.llm.common import col, read_bytes, slices, tabled, vocabulary_file
+from multiagg.llm.spans import ids_of, spread, worker_cache
 
 TOKENIZER_FILE = "word_bpe_49k.json"
 WINDOW = 2048
 END_ID = 1
 #: A stored stretch has at most so many ids; longer documents lie in several.
 STRETCH = 1 << 16
-CACHE_WORDS = 400_000
 #: How the tokenizer file splits normalised text.
 WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 #: Words of code points below this are normalised and split here; others go through the library.
 LATIN_END = 0x250
+WHITE = np.zeros(256, dtype=bool)
+WHITE[[32, *range(9, 14)]] = True
+SMALL = np.arange(256, dtype=np.uint8)
+SMALL[65:91] += 32
 
 
 def byte_letters() -> list[str]:
@@ -82,39 +86,75 @@ class WordCodec:
         whole, cuts = flat.astype("<u4").tobytes(), [0, *(4 * np.cumsum(per)).tolist()]
         return [whole[a:b] for a, b in zip(cuts, cuts[1:])]
 
-    def learn(self, words: list[bytes], cache: dict) -> None:
+    def cut(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The words of the texts, cut once more behind ASCII letters where another ASCII sign follows, unless a word may hold the mark of a special token."""
+        white = WHITE[data]
+        edge = np.diff(np.concatenate([[True], white, [True]]).astype(np.int8))
+        first, last = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
+        marks = np.concatenate([[0], np.cumsum(data == ord("<"))])
+        inner = np.flatnonzero(IS_LETTER[data[:-1]] & ENDS_LETTERS[data[1:]] & ~white[1:]) + 1
+        word = np.searchsorted(first, inner, "right") - 1
+        inner = inner[marks[last[word]] == marks[first[word]]]
+        first, last = np.sort(np.concatenate([first, inner])), np.sort(np.concatenate([last, inner]))
+        return first, last, np.searchsorted(starts, first, "right") - 1
+
+    def learn(self, data: np.ndarray, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(flat ids, ids per word); words of ASCII letters need no splitting."""
+        strange = np.concatenate([[0], np.cumsum(~IS_LETTER[data])])
+        plain = strange[last] == strange[first]
+        one, many = np.flatnonzero(plain), np.flatnonzero(~plain)
+        sizes = (last - first)[one]
+        symbols = SMALL[data[spread(first[one], sizes)]]
+        ids, ends = self.inner[symbols], np.cumsum(sizes) - 1
+        ids[ends] = self.last[symbols[ends]]
+        flat, per = merge_all(ids, sizes, self.table)
+        others = [np.frombuffer(x, "<u4") for x in self.learn_words([data[a:b].tobytes() for a, b in zip(first[many].tolist(), last[many].tolist())])]
+        counts = np.empty(len(first), dtype=np.int64)
+        counts[one], counts[many] = per, [len(x) for x in others]
+        out, at = np.empty(int(counts.sum()), dtype=np.int64), np.cumsum(counts) - counts
+        out[spread(at[one], per)] = flat
+        if others:
+            out[spread(at[many], counts[many])] = np.concatenate(others)
+        return out, counts
+
+    def learn_words(self, words: list[bytes]) -> list[bytes]:
+        """The ids of each word."""
         found, other = [], []
-        for w in words:
+        for i, w in enumerate(words):
             t = w.decode("utf-8", "replace")
             if "<|" in t or (not t.isascii() and ord(max(t)) >= LATIN_END):
-                other.append((w, t))
+                other.append((i, t))
+                found.append(())
                 continue
             t = unicodedata.normalize("NFC", t).lower()
-            found.append((w, [t] if t.isalpha() else self.find(t)))
-        distinct = list(set().union(*(p for _, p in found)))
+            found.append((t,) if t.isalpha() else self.find(t))
+        distinct = list(set().union(*found))
         ids = dict(zip(distinct, self.pieces(distinct))) if distinct else {}
-        cache.update((w, b"".join(map(ids.__getitem__, p))) for w, p in found)
+        out = [ids[p[0]] if len(p) == 1 else b"".join(map(ids.__getitem__, p)) for p in found]
         if other:
             made = self.library.encode_batch([t for _, t in other], add_special_tokens=False)
-            cache.update((w, np.array(e.ids, dtype="<u4").tobytes()) for (w, _), e in zip(other, made))
+            for (i, _), e in zip(other, made):
+                out[i] = np.array(e.ids, dtype="<u4").tobytes()
+        return out
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """The ids of each text, little-endian unsigned 32-bit."""
-        cache = worker_cache(self.key, CACHE_WORDS)
-        cut = [(t or "").encode("utf-8", "replace").split() for t in texts]
-        self.learn(list(set().union(*cut).difference(cache)), cache)
-        return [b"".join(map(cache.__getitem__, words)) for words in cut]
+        out = []
+        for flat, per in ids_of(texts, self.key, self.cut, self.learn):
+            whole, cuts = flat.astype("<u4").tobytes(), [0, *(4 * np.cumsum(per)).tolist()]
+            out += [whole[a:b] for a, b in zip(cuts, cuts[1:])]
+        return out
 
 
 def word_codec(data: bytes) -> WordCodec:
-    held = worker_cache("word codecs", 8)
+    held = worker_cache("word codecs")
     key = hashlib.sha256(data).hexdigest()
     if key not in held:
         held[key] = WordCodec(data)
     return held[key]
 
 
-def token_stream(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer_path: str | None = None, end_id: int = END_ID, batch: int = 1024) -> DataFrame:
+def token_stream(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer_path: str | None = None, end_id: int = END_ID) -> DataFrame:
     """Pass 1: (part, place, doc_id, start, doc_tokens, ids), one row per stretch of a document.
 
     `place` counts the partition's ids before the stretch, `start` those of its document.
@@ -125,16 +165,15 @@ def token_stream(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         codec, part, place = word_codec(shared.value), TaskContext.get().partitionId(), 0
-        for frame in frames:
-            for k in range(0, len(frame), batch):
-                some, rows = frame.iloc[k : k + batch], []
-                for doc, ids in zip(some["doc_id"], codec.encode(some["text"].tolist())):
-                    ids += end
-                    n = len(ids) // 4
-                    for start in range(0, n, STRETCH):
-                        rows.append((part, place + start, doc, start, n, ids[4 * start : 4 * (start + STRETCH)]))
-                    place += n
-                yield pd.DataFrame(rows, columns=["part", "place", "doc_id", "start", "doc_tokens", "ids"])
+        for some in slices(frames):
+            rows = []
+            for doc, ids in zip(some["doc_id"], codec.encode(some["text"].tolist())):
+                ids += end
+                n = len(ids) // 4
+                for start in range(0, n, STRETCH):
+                    rows.append((part, place + start, doc, start, n, ids[4 * start : 4 * (start + STRETCH)]))
+                place += n
+            yield pd.DataFrame(rows, columns=["part", "place", "doc_id", "start", "doc_tokens", "ids"])
 
     made = docs.select(col(id_col).alias("doc_id"), col(text_col).alias("text"))
     return made.mapInPandas(work, f"part int, place long, doc_id {kind}, start long, doc_tokens long, ids binary")

@@ -9,6 +9,8 @@ than `GROUP` blocks of one file, or one row per group.
 
 Defined results: ids after a file's last separator are one more document, unclosed; an empty file
 or block has none. A null block counts as empty. Two separators in a row close an empty document.
+A null text counts as empty, repeated rows are counted each by itself, an empty table gives no row,
+and only the id and text columns are read, whatever others are called.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from multiagg.llm.byte_bpe import RANKS_FILE, codec_of
-from multiagg.llm.common import checkpointed, col, read_bytes, tabled, vocabulary_file
+from multiagg.llm.common import checkpointed, col, read_bytes, slices, tabled, vocabulary_file
 
 BLOCK_TOKENS = 1 << 16
 GROUP = 1024
@@ -31,7 +33,7 @@ END_OF_DOCUMENT = 50256
 ID = "<u2"
 
 
-def token_files(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_tokens: int = BLOCK_TOKENS, batch: int = 512) -> DataFrame:
+def token_files(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_tokens: int = BLOCK_TOKENS) -> DataFrame:
     """One flat file per partition, as blocks (file, block, data); rows without data name the file's documents in order (file, ordinal, doc_id)."""
     import public_tokenizers
 
@@ -41,16 +43,16 @@ def token_files(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         codec, file, block, ordinal, held = codec_of(shared.value, pattern), TaskContext.get().partitionId(), 0, 0, b""
         size = block_tokens * np.dtype(ID).itemsize
-        for frame in frames:
-            for k in range(0, len(frame), batch):
-                part = frame.iloc[k : k + batch]
-                rows = [(file, None, None, ordinal + i, doc) for i, doc in enumerate(part["doc_id"])]
-                ordinal += len(part)
-                held += b"".join(np.array([*ids, END_OF_DOCUMENT], dtype=ID).tobytes() for ids in codec.encode(part["text"].tolist()))
-                while len(held) >= size:
-                    rows.append((file, block, held[:size], None, None))
-                    held, block = held[size:], block + 1
-                yield _typed(rows)
+        end = np.array([END_OF_DOCUMENT], dtype=ID).tobytes()
+        for part in slices(frames):
+            rows = [(file, None, None, ordinal + i, doc) for i, doc in enumerate(part["doc_id"])]
+            ordinal += len(part)
+            held += b"".join(x for ids in codec.encode(part["text"].tolist()) for x in (ids.astype(ID).tobytes(), end))
+            for at in range(0, len(held) - size + 1, size):
+                rows.append((file, block, held[at : at + size], None, None))
+                block += 1
+            held = held[len(held) // size * size :]
+            yield _typed(rows)
         if held:
             yield _typed([(file, block, held, None, None)])
 
