@@ -15,9 +15,11 @@ from multiagg.plans.spec import GroupedJoinSpec
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """A new folder that driver and executors share; a local one only where no checkpoint folder is set."""
+    """A new folder that driver and executors share; a local one only where no checkpoint folder is set and all runs on one machine."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="multiagg-"))
     path = f"{sc._jsc.sc().getCheckpointDir().get()}/scratch-{uuid.uuid4().hex}"
     atexit.register(_drop, spark, path)

@@ -15,10 +15,12 @@ the trail's own weight is multiplied once, then its last level is dropped.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from functools import reduce
 
 import pandas as pd
+from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -211,14 +213,15 @@ def packed(graph: DataGraph, limit: int = PACKED_EDGES) -> DataFrame:
         raise TooManyEdges(f"{edges} edges are more than the {limit} that may be broadcast")
     spark = graph.edges[graph.tree.name].sparkSession
     tables = {name: df.toPandas() for name, df in graph.edges.items()}
-    shared = spark.sparkContext.broadcast(PackedGraph(graph, tables))
+    # Broadcasts pickle classes by reference, and workers need not have this package.
+    shared = spark.sparkContext.broadcast(cloudpickle.dumps(PackedGraph(graph, tables)))
     top, below = graph.edges[graph.tree.name], carried(graph, graph.tree)[len(graph.tree.group) :]
     ids = top.select(*graph.tree.group, *graph.tree.down, M)
     kinds = {f.name: f.dataType.simpleString() for df in graph.edges.values() for f in df.schema}
     schema = ", ".join(f"`{c}` {kinds[c]}" for c in [*graph.tree.group, *below, M])
 
     def walk(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        g, known = shared.value, {}
+        g, known = pickle.loads(shared.value), {}
         n = g.tree
         for f in frames:
             f = f.astype(object).where(f.notna(), None)
