@@ -345,13 +345,14 @@ FOUND = "base array<struct<start:long,kind:string,end:long>>, spans array<struct
 
 def pii(docs: DataFrame, text: Column, into: str, batch: int = 512) -> DataFrame:
     """`docs` with a struct column `into`: spans of the patterns, all spans, and the text without them."""
-    shared = docs.sparkSession.sparkContext.broadcast(model())
+    # Plain arrays: broadcasts pickle classes by reference, and workers need not have this package.
+    shared = docs.sparkSession.sparkContext.broadcast((model().emit, model().move))
 
     def work(texts: pd.Series) -> pd.DataFrame:
-        rows = []
+        rows, field = [], ChainField(*shared.value)
         for k in range(0, len(texts), batch):
             some = texts.iloc[k : k + batch].tolist()
-            for t, (base, full) in zip(some, find_spans(some, shared.value)):
+            for t, (base, full) in zip(some, find_spans(some, field)):
                 rows.append((*([{"start": a, "kind": KINDS[k], "end": b} for a, k, b in x] for x in (base, full)), redacted(t, full) if t is not None else None))
         return pd.DataFrame(rows, columns=["base", "spans", "redacted"])
 
