@@ -9,45 +9,47 @@ exactly if they agree in trigger, offset and bytes, so grouping and counting has
 
 * a trigger string met once in the corpus ends the search for its windows;
 * a phrase that stands in the parse twice makes all its windows repeats, without looking at them;
-* the windows of the other phrases of a shared trigger are counted over the dictionary's distinct
-  phrases only, each weighted by its number in the parse: first in blocks of neighbouring offsets,
-  whose shared bytes must be repeated if any window is, and whose whole bytes settle all of them
-  if they are; only blocks between these two, at the ends of repeats, are counted one by one.
+* the windows of the other phrases of a shared trigger are compared over the dictionary's distinct
+  phrases only, each read from one document: first in blocks of neighbouring offsets, whose shared
+  bytes must stand in a second phrase if any window does, and whose whole bytes settle all of them if
+  they do; only where blocks lie between these two, at the ends of repeats, are windows compared one by one.
 
-Scale: text is scanned twice and never shuffled whole. Pass 1 counts trigger strings, one in about
-70 bytes. A bitmap of fixed size of the repeated ones is broadcast; pass 2 writes the documents
-that it can't rule out, with their phrases, and later steps read only those. All counting is
-combined within map tasks, all joins back are against tables written before, which AQE can split.
+What is found of a phrase goes back to the documents through the parse.
+
+Scale: texts are read where they lie, once for triggers, once for the parse, once for the blocks and
+once for the windows at the ends of repeats; bitmaps of bounded size, broadcast, say what is asked.
+What they let through besides are true windows too, so it costs time and changes nothing. Equal
+windows have one trigger and one block, so a single shuffle by both serves all comparisons of a
+step. Texts are shuffled once, to meet what is cut from them.
 
 Strings are compared by two 64-bit hashes, of the trigger and of the bytes around it.
 
 Defined results: a null text counts as empty; a text shorter than a passage loses nothing. Rows
 with one id and one text are repeats of one document and all lose what they share. Passages never
-cross documents. Bytes are UTF-8.
+cross documents. Bytes are UTF-8. An empty table gives no row.
 """
 
 from __future__ import annotations
 
-import atexit
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from multiagg.llm.common import bitmap, checkpointed, col, in_bitmap, powers, runs, tabled
+from multiagg.llm.common import bitmap, bits_for, checkpointed, col, in_bitmap, powers, runs, slices, tabled
+from multiagg.llm.spans import worker_cache
 
 PASSAGE = 200
 TRIGGER = 64
 #: Windows of a phrase are first ordered by blocks of so many offsets.
 BLOCK = 16
-#: Bits of the bitmap of repeated trigger strings.
-BITMAP_BITS = 1 << 26
 #: Texts are parsed in stretches of so many bytes.
 STRETCH = (1 << 20) - (1 << 12)
 BASE = 0x9E3779B97F4A7C15
+#: Tells the blocks of a phrase apart.
+SALT = 0x0345F4914F6CDD1D
 _BYTES = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 
 
@@ -62,17 +64,20 @@ class Stretch:
 
     def __init__(self, data: np.ndarray, passage: int = PASSAGE, trigger: int = TRIGGER):
         self.n, self.passage, self.trigger = len(data), passage, trigger
+        held = worker_cache("passage powers")
+        if held.get("size", 0) <= self.n:
+            size = max(self.n + 1, STRETCH + (1 << 12))
+            held.update(size=size, power=powers(size, BASE), back=powers(size, pow(BASE, -1, 1 << 64)))
+        self.back = held["back"]
         with np.errstate(over="ignore"):
-            self.power = powers(self.n + 1, BASE)
-            self.sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_BYTES[data] * self.power[: self.n])])
-        self.back = powers(self.n + 1, pow(BASE, -1, 1 << 64))
+            self.sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_BYTES[data] * held["power"][: self.n])])
 
     def hashes(self, start: np.ndarray, size) -> np.ndarray:
         """Hashes of the bytes start..start+size-1."""
         with np.errstate(over="ignore"):
             return mixed((self.sums[start + size] - self.sums[start]) * self.back[start] + np.uint64(0x632BE59BD9B4E019) * np.asarray(size).astype(np.uint64))
 
-    def anchors(self, starts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    def anchors(self) -> tuple[np.ndarray, np.ndarray]:
         """For each window, in order: the place of its trigger; and the hash of each place's trigger string."""
         windows = self.n - self.passage + 1
         grams = self.hashes(np.arange(self.n - self.trigger + 1), self.trigger)
@@ -87,36 +92,87 @@ class Stretch:
         return (low[:windows] & np.uint64((1 << 20) - 1)).astype(np.int64), grams
 
 
-def parse(raw: bytes, passage: int = PASSAGE, trigger: int = TRIGGER) -> dict[str, np.ndarray]:
-    """The phrases of one document: hash of the trigger string, hash of the phrase, first window, number of windows, trigger's place."""
-    parts = []
-    for at in range(0, max(len(raw) - passage + 1, 0), STRETCH):
-        data = np.frombuffer(raw, np.uint8, min(len(raw) - at, STRETCH + passage - 1), at)
-        s = Stretch(data, passage, trigger)
-        where, grams = s.anchors()
-        first = np.concatenate([[0], np.flatnonzero(np.diff(where)) + 1])
-        count = np.diff(np.concatenate([first, [len(where)]]))
-        place = where[first]
+class Parsed:
+    """The phrases of some documents, or of a part of a long one. Places count from the start of the stretch; `low` and `high` are its documents' bounds."""
+
+    def __init__(self, data: np.ndarray, low: np.ndarray, high: np.ndarray, begin: int, end: int, number: np.ndarray, passage: int, trigger: int):
+        """Windows of all documents, from `begin` up to `end`."""
+        self.s, self.passage, self.low, self.high = Stretch(data, passage, trigger), passage, low, high
+        where, grams = self.s.anchors() if len(data) >= passage else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
+        a, b = np.maximum(low, begin), np.minimum(high - passage + 1, end)
+        sizes = np.maximum(b - a, 0)
+        windows, doc = np.repeat(a, sizes) + runs(sizes), np.repeat(np.arange(len(low)), sizes)
+        at = where[windows]
+        new = np.flatnonzero(np.concatenate([[True], (at[1:] != at[:-1]) | (doc[1:] != doc[:-1])])) if len(at) else np.zeros(0, np.int64)
+        self.first, self.count, self.place = windows[new], np.diff(np.append(new, len(at))), at[new]
+        self.doc, self.number = doc[new], number[doc[new]]
+        with np.errstate(over="ignore"):
+            self.gram = grams[self.place].view(np.int64)
+            self.phrase = mixed(self.s.hashes(self.first, self.count + passage - 1) + (self.place - self.first).astype(np.uint64) * np.uint64(BASE)).view(np.int64)
+
+    def blocks(self, of: np.ndarray) -> tuple[np.ndarray, ...]:
+        """The windows of phrases `of` in blocks of offsets to the trigger: (phrase, block, least and greatest offset)."""
+        low, high = (self.place - self.first - self.count + 1)[of], (self.place - self.first)[of]
+        number = high // BLOCK - low // BLOCK + 1
+        block = np.repeat(low // BLOCK, number) + runs(number)
+        return np.repeat(of, number), block, np.maximum(BLOCK * block, np.repeat(low, number)), np.minimum(BLOCK * block + BLOCK - 1, np.repeat(high, number))
+
+    def block_hashes(self, of: np.ndarray, block: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Hash of the bytes that all windows of a block share, hash of all their bytes, and whether the document has that many."""
+        start = self.place[of] - BLOCK * block
+        enough = (start - BLOCK + 1 >= self.low[self.doc[of]]) & (start + self.passage <= self.high[self.doc[of]])
+        with np.errstate(over="ignore"):
+            salt = block.astype(np.uint64) * np.uint64(BASE)
+            core = mixed(self.s.hashes(start, self.passage - BLOCK + 1) + salt)
+            full = np.zeros(len(of), np.uint64)
+            full[enough] = mixed(self.s.hashes(start[enough] - BLOCK + 1, self.passage + BLOCK - 1) + salt[enough])
+        return core.view(np.int64), full.view(np.int64), enough
+
+    def windows(self, of: np.ndarray, low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Each window of phrases `of` with offsets low..high: (place in `of`, offset, hash)."""
+        n = high - low + 1
+        which = np.repeat(np.arange(len(of)), n)
+        offset = np.repeat(low, n) + runs(n)
         with np.errstate(over="ignore"):
-            phrase = mixed(s.hashes(first, count + passage - 1) + (place - first).astype(np.uint64) * np.uint64(BASE))
-        parts.append((grams[place], phrase, first + at, count, place + at))
-    cols = [np.concatenate(x) for x in zip(*parts)] if parts else [np.zeros(0, np.uint64)] * 2 + [np.zeros(0, np.int64)] * 3
-    return {"gram": cols[0].view(np.int64), "phrase": cols[1].view(np.int64), "first": cols[2], "count": cols[3], "place": cols[4]}
-
-
-def windows_of(raw: bytes, first: np.ndarray, count: np.ndarray, place: np.ndarray, passage: int = PASSAGE) -> tuple[np.ndarray, np.ndarray]:
-    """Starts and hashes (offset to the trigger included) of all windows of some phrases of a document."""
-    starts = np.repeat(first, count) + runs(count)
-    anchor = np.repeat(place, count)
-    out = np.zeros(len(starts), np.uint64)
-    block = starts // STRETCH
-    for b in np.unique(block):
-        mine = block == b
-        at = int(b) * STRETCH
-        s = Stretch(np.frombuffer(raw, np.uint8, min(len(raw) - at, STRETCH + passage - 1), at), passage)
-        out[mine] = s.hashes(starts[mine] - at, passage)
-    with np.errstate(over="ignore"):
-        return starts, mixed(out + (anchor - starts).astype(np.uint64) * np.uint64(BASE)).view(np.int64)
+            return which, offset, mixed(self.s.hashes(self.place[of][which] - offset, self.passage) + offset.astype(np.uint64) * np.uint64(BASE)).view(np.int64)
+
+
+def parsed(bodies: list[bytes], passage: int = PASSAGE, trigger: int = TRIGGER) -> Iterator[Parsed]:
+    """Documents parsed together in stretches; `number` is the document's place in `bodies`. A long one is parsed in parts that meet between phrases."""
+    held: list[int] = []
+    size = 0
+
+    def together() -> Parsed:
+        sizes = np.array([len(bodies[i]) for i in held], dtype=np.int64)
+        low = np.cumsum(sizes) - sizes
+        data = np.frombuffer(b"".join(bodies[i] for i in held), np.uint8)
+        return Parsed(data, low, low + sizes, 0, len(data), np.array(held), passage, trigger)
+
+    for i, body in enumerate(bodies):
+        n = len(body)
+        if n >= STRETCH:
+            begin = 0
+            while begin <= n - passage:
+                at, end = max(0, begin - passage), min(begin + STRETCH - 4 * passage, n - passage + 1)
+                data = np.frombuffer(body, np.uint8, min(n, end + 2 * passage) - at, at)
+                p = Parsed(data, np.array([-at]), np.array([n - at]), begin - at, end - at, np.array([i]), passage, trigger)
+                if end <= n - passage:  # the last phrase may go on: the next part begins with it
+                    begin = at + int(p.first[-1])
+                    for c in ("first", "count", "place", "doc", "number", "gram", "phrase"):
+                        setattr(p, c, getattr(p, c)[:-1])
+                else:
+                    begin = n
+                yield p
+            continue
+        if n < passage:
+            continue
+        if size + n >= STRETCH:
+            yield together()
+            held, size = [], 0
+        held.append(i)
+        size += n
+    if held:
+        yield together()
 
 
 def removed_runs(n: int, first: np.ndarray, count: np.ndarray, passage: int = PASSAGE) -> np.ndarray:
@@ -134,156 +190,106 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(id_.alias("doc_id"), F.xxhash64(id_, text).alias("k1"), F.xxhash64(text, id_, F.lit(1)).alias("k2"), F.coalesce(text, F.lit("")).cast("binary").alias("body"))
 
 
-def repeated_grams(docs: DataFrame, id_col: str, text_col: str, passage: int) -> DataFrame:
-    """Trigger strings met twice or more."""
-
-    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            yield pd.DataFrame({"gram": [parse(b, passage)["gram"] for b in frame["body"]]})
-
-    grams = _rows(docs, id_col, text_col).select("body").mapInPandas(work, "gram array<long>").select(F.explode("gram").alias("gram"))
-    return grams.groupBy("gram").agg(F.count("*").alias("n")).where("n > 1").select("gram")
-
-
-PHRASES = "gram array<long>, phrase array<long>, first array<int>, count array<int>, place array<int>"
+def _scan(docs: DataFrame, work, schema: str, id_col: str, text_col: str, passage: int) -> DataFrame:
+    """`work(parsed phrases, keys of the documents)` over all texts, where they lie."""
 
-
-def candidates(docs: DataFrame, words: np.ndarray, id_col: str, text_col: str, passage: int) -> DataFrame:
-    """Documents with a trigger string that may be repeated, and their phrases of such triggers."""
-    shared = docs.sparkSession.sparkContext.broadcast(words)
-
-    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            rows = []
-            for k1, k2, body in zip(frame["k1"], frame["k2"], frame["body"]):
-                p = parse(body, passage)
-                keep = in_bitmap(p["gram"], shared.value)
-                if keep.any():
-                    rows.append((k1, k2, body, *(p[c][keep] if i < 2 else p[c][keep].astype(np.int32) for i, c in enumerate(p))))
-            yield pd.DataFrame(rows, columns=["k1", "k2", "body", "gram", "phrase", "first", "count", "place"])
-
-    return _rows(docs, id_col, text_col).drop("doc_id").mapInPandas(work, f"k1 long, k2 long, body binary, {PHRASES}")
-
-
-def bucketed(df: DataFrame, stem: str) -> DataFrame:
-    """A table in buckets by (k1, k2): joins on both keys shuffle the other side only."""
-    spark = df.sparkSession
-    name, n = f"{stem}_{uuid.uuid4().hex}", int(spark.conf.get("spark.sql.shuffle.partitions"))
-    df.repartition(n, "k1", "k2").write.bucketBy(n, "k1", "k2").option("compression", "zstd").saveAsTable(name)
-    atexit.register(_drop, spark, name)
-    return spark.table(name)
-
-
-def _drop(spark, name: str) -> None:
-    if spark.sparkContext._jsc is not None and not spark.sparkContext._jsc.sc().isStopped():
-        spark.sql(f"DROP TABLE IF EXISTS {name}")
-
-
-def blocks_of(raw: bytes, first: np.ndarray, count: np.ndarray, place: np.ndarray, passage: int = PASSAGE) -> tuple[np.ndarray, ...]:
-    """The windows of some phrases in blocks of `BLOCK` offsets to the trigger: (phrase's number, block, hash of the bytes all its windows share, hash of all their bytes, whether there are that many bytes)."""
-    low, high = place - first - count + 1, place - first  # offsets of the last and the first window
-    number = high // BLOCK - low // BLOCK + 1
-    of = np.repeat(np.arange(len(first)), number)
-    block = np.repeat(low // BLOCK, number) + runs(number)
-    start = place[of] - BLOCK * block  # where the shared bytes begin
-    core = np.zeros(len(of), np.uint64)
-    full = np.zeros(len(of), np.uint64)
-    whole = (start - BLOCK + 1 >= 0) & (start + passage <= len(raw))
-    part = np.maximum(start - BLOCK + 1, 0) // STRETCH
-    for b in np.unique(part):
-        at, mine = int(b) * STRETCH, part == b
-        s = Stretch(np.frombuffer(raw, np.uint8, min(len(raw) - at, STRETCH + 2 * passage), at), passage)
-        core[mine] = s.hashes(start[mine] - at, passage - BLOCK + 1)
-        mine &= whole
-        full[mine] = s.hashes(start[mine] - BLOCK + 1 - at, passage + BLOCK - 1)
-    with np.errstate(over="ignore"):
-        salt = block.astype(np.uint64) * np.uint64(BASE)
-        return of, block, mixed(core + salt).view(np.int64), mixed(full + salt).view(np.int64), whole
-
-
-def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE) -> tuple[DataFrame, DataFrame]:
-    """Candidate documents, and their repeated stretches of windows (k1, k2, first, count)."""
-    words = bitmap(repeated_grams(docs, id_col, text_col, passage), "gram", BITMAP_BITS)
-    found = bucketed(candidates(docs, words, id_col, text_col, passage), "candidates")
-    parsed = found.select("k1", "k2", F.explode(F.arrays_zip("gram", "phrase", "first", "count", "place")).alias("x")).select("k1", "k2", "x.*")
-    dictionary = checkpointed(parsed.groupBy("gram", "phrase").agg(F.count("*").alias("times")))
-    shared = checkpointed(dictionary.groupBy("gram").agg(F.sum("times").alias("uses"), F.count("*").alias("phrases")).where("uses > 1"))
-    known = checkpointed(dictionary.join(shared, "gram").select("gram", "phrase", "times", "phrases"))
-    placed = tabled(parsed.join(known, ["gram", "phrase"]), "placed")
-    whole = placed.where("times > 1").select("k1", "k2", "first", "count")
-    # Windows are ordered over the dictionary: each phrase of a trigger with several of them, once, with its number in the parse.
-    several = placed.where("phrases > 1")
-    single = several.where("times = 1").select("k1", "k2", "gram", "first", "count", "place", F.lit(1).alias("times"))
-    double = several.where("times > 1").groupBy("gram", "phrase").agg(F.min(F.struct("k1", "k2", "first", "count", "place", "times")).alias("x"))
-    asked = single.unionByName(double.select("x.k1", "x.k2", "gram", "x.first", "x.count", "x.place", F.col("x.times").cast("int").alias("times")))
-    texts = _with(found, asked, F.struct("gram", "first", "count", "place", "times"))
-
-    def blocks(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            for k1, k2, body, asked in zip(frame["k1"], frame["k2"], frame["body"], frame["asked"]):
-                gram, first, count, place, times = (np.array([x[c] for x in asked], dtype=np.int64) for c in ("gram", "first", "count", "place", "times"))
-                of, block, core, full, enough = blocks_of(body, first, count, place, passage)
-                low = np.maximum(BLOCK * block, (place - first - count + 1)[of])
-                high = np.minimum(BLOCK * block + BLOCK - 1, (place - first)[of])
-                # A phrase that a stretch's end has cut shows its block twice; it counts once.
-                once = np.zeros(len(of), dtype=bool)
-                once[np.unique(place[of] * (passage + 1) + block, return_index=True)[1]] = True
-                yield pd.DataFrame({
-                    "k1": k1, "k2": k2, "gram": gram[of], "place": place[of], "first": place[of] - high, "count": high - low + 1, "core": core,
-                    "full": np.where(enough, full, 0), "enough": enough, "times": times[of], "weight": np.where(once, times[of], 0),
-                })
-
-    cut = tabled(texts.mapInPandas(blocks, "k1 long, k2 long, gram long, place int, first int, count int, core long, full long, enough boolean, times int, weight int"), "blocks")
-    cores = checkpointed(cut.groupBy("gram", "core").agg(F.sum("weight").alias("n")).where("n > 1").select("gram", "core"))
-    fulls = checkpointed(cut.where("enough").groupBy("gram", "full").agg(F.sum("weight").alias("n")).where("n > 1").select("gram", "full", F.lit(True).alias("hit")))
-    open_ = tabled(cut.join(cores, ["gram", "core"]).join(fulls, ["gram", "full"], "left").select("k1", "k2", "gram", "place", "first", "count", "times", "weight", (F.col("enough") & F.col("hit").isNotNull()).alias("hit")), "open")
-    sure = open_.where("hit and times = 1").select("k1", "k2", "first", "count")
-    # What is left are the blocks at the ends of repeats, window by window. Blocks that are sure elsewhere may hold their partners, so they are ordered too, unless all blocks of the trigger are sure.
-    unsure = checkpointed(open_.where("not hit").select("gram").distinct())
-    edge = _with(found, open_.join(unsure, "gram", "left_semi"), F.struct("gram", "first", "count", "place", "times"))
-
-    def windows(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def read(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            for k1, k2, body, asked in zip(frame["k1"], frame["k2"], frame["body"], frame["asked"]):
-                gram, first, count, place, times = (np.array([x[c] for x in asked], dtype=np.int64) for c in ("gram", "first", "count", "place", "times"))
-                start, window = windows_of(body, first, count, place, passage)
-                yield pd.DataFrame({"k1": k1, "k2": k2, "gram": np.repeat(gram, count), "window": window, "start": start, "times": np.repeat(times, count)})
-
-    counted = tabled(edge.mapInPandas(windows, "k1 long, k2 long, gram long, window long, start int, times int"), "windows")
-    twice = checkpointed(counted.groupBy("gram", "window").agg(F.sum("times").alias("n")).where("n > 1").select("gram", "window"))
-    parts = counted.where("times = 1").join(twice, ["gram", "window"]).select("k1", "k2", F.col("start").alias("first"), F.lit(1).alias("count"))
-    return found, whole.unionByName(sure).unionByName(parts)
-
-
-def _with(found: DataFrame, asked: DataFrame, what) -> DataFrame:
-    """Texts with all that is asked of them; a document's own phrases bound its list. Repeats of a row are asked once."""
-    by_doc = checkpointed(asked.groupBy("k1", "k2").agg(F.collect_set(what).alias("asked")))
-    texts = found.select("k1", "k2", "body")
-    if not found.groupBy("k1", "k2").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
-        texts = texts.dropDuplicates(["k1", "k2"])
-    return texts.join(by_doc, ["k1", "k2"])
+            keys = frame[["k1", "k2"]].to_numpy()
+            for p in parsed(frame["body"].tolist(), passage):
+                yield work(p, keys)
+
+    return _rows(docs, id_col, text_col).select("k1", "k2", "body").mapInPandas(read, schema)
+
+
+def parse_table(docs: DataFrame, id_col: str, text_col: str, passage: int) -> DataFrame:
+    """(k1, k2, gram, phrase, first, count, place): the parse, without phrases whose trigger string is met once; a bitmap lets a few of those through."""
+    grams = _scan(docs, lambda p, keys: pd.DataFrame({"gram": p.gram}), "gram long", id_col, text_col, passage)
+    again = checkpointed(grams.groupBy("gram").agg(F.count("*").alias("n")).where("n > 1").select("gram"))
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap(again, "gram", bits_for(again.count())))
+
+    def work(p: Parsed, keys: np.ndarray) -> pd.DataFrame:
+        k = np.flatnonzero(in_bitmap(p.gram, shared.value))
+        start = p.low[p.doc[k]]
+        return pd.DataFrame({"k1": keys[p.number[k], 0], "k2": keys[p.number[k], 1], "gram": p.gram[k], "phrase": p.phrase[k], "first": p.first[k] - start, "count": p.count[k], "place": p.place[k] - start})
+
+    return tabled(_scan(docs, work, "k1 long, k2 long, gram long, phrase long, first int, count int, place int", id_col, text_col, passage), "parse")
+
+
+def _in_two(*keys: str) -> Column:
+    """Whether rows that agree in the keys stand in two phrases or more."""
+    same = Window.partitionBy(*keys)
+    return F.min("phrase").over(same) != F.max("phrase").over(same)
+
+
+def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE) -> DataFrame:
+    """Repeated stretches of windows (k1, k2, first, count)."""
+    parse = parse_table(docs, id_col, text_col, passage)
+    dictionary = checkpointed(parse.groupBy("gram", "phrase").agg(F.count("*").alias("times"), F.min("k1").alias("at")))
+    shared = checkpointed(dictionary.groupBy("gram").agg(F.count("*").alias("phrases")).where("phrases > 1").select("gram"))
+    several = checkpointed(dictionary.join(shared, "gram", "left_semi").select(F.col("phrase").bitwiseXOR(F.col("at")).alias("key")))
+    asked = docs.sparkSession.sparkContext.broadcast(bitmap(several, "key", bits_for(several.count())))
+
+    def asked_blocks(p: Parsed, keys: np.ndarray) -> tuple[np.ndarray, ...]:
+        of = np.flatnonzero(in_bitmap(p.phrase ^ keys[p.number, 0], asked.value))
+        return p.blocks(of[np.unique(p.phrase[of], return_index=True)[1]])
+
+    def blocks(p: Parsed, keys: np.ndarray) -> pd.DataFrame:
+        of, block, low, high = asked_blocks(p, keys)
+        core, full, enough = p.block_hashes(of, block)
+        return pd.DataFrame({"gram": p.gram[of], "phrase": p.phrase[of], "block": block, "low": low, "high": high, "core": core, "full": full, "enough": enough})
+
+    cut = _scan(docs, blocks, "gram long, phrase long, block int, low int, high int, core long, full long, enough boolean", id_col, text_col, passage)
+    cut = cut.repartition("gram", "block").withColumn("two", _in_two("gram", "block", "core")).where("two")
+    cut = cut.withColumn("hit", F.col("enough") & _in_two("gram", "block", "enough", "full"))
+    cut = cut.withColumn("edge", F.max(~F.col("hit")).over(Window.partitionBy("gram", "block")))
+    open_ = tabled(cut.select("gram", "phrase", "block", "low", "high", "hit", "edge"), "blocks")
+    sure = open_.where("hit").select("gram", "phrase", "low", "high")
+    # What is left are the blocks at the ends of repeats, window by window, with those of the same trigger and place that may hold their partners.
+    edge = open_.where("edge").select(F.col("phrase").bitwiseXOR(F.col("block").cast("long") * F.lit(SALT)).alias("key"))
+    edges = docs.sparkSession.sparkContext.broadcast(bitmap(edge, "key", bits_for(edge.count())))
+
+    def windows(p: Parsed, keys: np.ndarray) -> pd.DataFrame:
+        of, block, low, high = asked_blocks(p, keys)
+        k = np.flatnonzero(in_bitmap(p.phrase[of] ^ block * np.int64(SALT), edges.value))
+        of, low, high = of[k], low[k], high[k]
+        _, _, window = p.windows(of, low, high)
+        ends = np.cumsum(high - low + 1)
+        return pd.DataFrame({"gram": p.gram[of], "phrase": p.phrase[of], "block": block[k], "low": low, "windows": pd.Series(np.split(window, ends[:-1]) if len(of) else [], dtype=object)})
+
+    each = _scan(docs, windows, "gram long, phrase long, block int, low int, windows array<long>", id_col, text_col, passage)
+    each = each.repartition("gram", "block").select("gram", "phrase", "block", "low", F.posexplode("windows").alias("i", "window"))
+    parts = each.withColumn("two", _in_two("gram", "block", "window")).where("two").select("gram", "phrase", (F.col("low") + F.col("i")).alias("low")).withColumn("high", F.col("low"))
+    spans = checkpointed(sure.unionByName(parts).groupBy("gram", "phrase").agg(F.collect_set(F.struct("low", "high")).alias("spans")))
+    often = dictionary.where("times > 1").select("gram", "phrase", F.lit(None).cast(spans.schema["spans"].dataType).alias("spans"))
+    found = checkpointed(often.unionByName(spans.join(often.select("gram", "phrase"), ["gram", "phrase"], "left_anti")))
+    marked = parse.join(found, ["gram", "phrase"])
+    whole = marked.where("spans is null").select("k1", "k2", "first", "count")
+    return whole.unionByName(marked.where("spans is not null").select("k1", "k2", "place", F.explode("spans").alias("x")).select("k1", "k2", F.expr("place - x.high").alias("first"), F.expr("x.high - x.low + 1").alias("count")))
+
+
+def _kept(body: bytes, bounds: np.ndarray) -> bytes:
+    ends = [0, *bounds.tolist(), len(body)]
+    return b"".join(body[a:b] for a, b in zip(ends[::2], ends[1::2]))
 
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE) -> DataFrame:
-    """One row per document that loses something: k1, k2, n_removed, n_spans, kept (the remaining bytes)."""
-    found, marks = repeats(docs, id_col, text_col, passage)
-    marked = _with(found, marks, F.struct("first", "count"))
+    """One row per row of `docs`: doc_id, n_bytes, n_removed, n_spans, kept (the remaining bytes)."""
+    marks = checkpointed(repeats(docs, id_col, text_col, passage).groupBy("k1", "k2").agg(F.collect_set(F.struct("first", "count")).alias("m")))
+    kind = docs.select(col(id_col)).schema[0].dataType.simpleString()
+    rows = _rows(docs, id_col, text_col).join(marks, ["k1", "k2"], "left").select("doc_id", "body", F.col("m.first").alias("first"), F.col("m.count").alias("count"))
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            rows = []
-            for k1, k2, body, marks in zip(frame["k1"], frame["k2"], frame["body"], frame["asked"]):
-                cut = removed_runs(len(body), np.array([m["first"] for m in marks], np.int64), np.array([m["count"] for m in marks], np.int64), passage)
-                ends = [0, *cut.ravel().tolist(), len(body)]
-                rows.append((k1, k2, int((cut[:, 1] - cut[:, 0]).sum()), len(cut), b"".join(body[a:b] for a, b in zip(ends[::2], ends[1::2]))))
-            yield pd.DataFrame(rows, columns=["k1", "k2", "n_removed", "n_spans", "kept"])
+        for frame in slices(frames):
+            out = []
+            for d, body, first, count in zip(frame["doc_id"], frame["body"], frame["first"], frame["count"]):
+                cut = removed_runs(len(body), first, count, passage).ravel() if first is not None else np.zeros(0, np.int64)
+                out.append((d, len(body), int((cut[1::2] - cut[::2]).sum()), len(cut) // 2, _kept(body, cut)))
+            yield pd.DataFrame(out, columns=["doc_id", "n_bytes", "n_removed", "n_spans", "kept"])
 
-    return marked.mapInPandas(work, "k1 long, k2 long, n_removed long, n_spans long, kept binary")
+    return rows.mapInPandas(work, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept binary")
 
 
 def removal_digests(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row of `docs`."""
-    cut = checkpointed(remove_repeats(docs).select("k1", "k2", "n_removed", "n_spans", F.sha2("kept", 256).alias("cut_sha256")))
-    rows = _rows(docs, "doc_id", "text").select("doc_id", "k1", "k2", F.octet_length("body").cast("long").alias("n_bytes"), F.sha2("body", 256).alias("whole_sha256"))
-    zero = F.lit(0).cast("long")
-    return rows.join(cut, ["k1", "k2"], "left").select("doc_id", "n_bytes", F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("cut_sha256", "whole_sha256").alias("kept_sha256"))
+    return remove_repeats(docs).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))

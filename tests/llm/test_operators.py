@@ -242,13 +242,19 @@ def test_removal_of_repeats(docs, none):
 def test_long_text_is_parsed_as_a_whole(monkeypatch):
     from multiagg.llm import suffix_dedup as s
 
-    raw = bytes(np.random.default_rng(1).integers(97, 123, 5000, dtype=np.uint8))
-    whole = s.parse(raw)
-    start, window = s.windows_of(raw, whole["first"], whole["count"], whole["place"])
-    monkeypatch.setattr(s, "STRETCH", 700)
-    parts = s.parse(raw)
-    start2, window2 = s.windows_of(raw, parts["first"], parts["count"], parts["place"])
-    assert (start == start2).all() and (window == window2).all() and len(start) == 4801
+    raw = bytes(np.random.default_rng(1).integers(97, 123, 20_000, dtype=np.uint8))
+
+    def windows(bodies):
+        found = set()
+        for p in s.parsed(bodies):
+            n = np.arange(len(p.first))
+            which, offset, hashes = p.windows(n, p.place - p.first - p.count + 1, p.place - p.first)
+            found |= set(zip(p.number[which].tolist(), (p.place[which] - offset - p.low[p.doc[which]]).tolist(), p.gram[which].tolist(), p.phrase[which].tolist(), hashes.tolist()))
+        return found
+
+    whole = windows([raw, b"", raw[:300]])
+    monkeypatch.setattr(s, "STRETCH", 2000)
+    assert windows([raw, b"", raw[:300]]) == whole and len(whole) == 19_801 + 101
 
 
 def test_warc_audit(spark):
