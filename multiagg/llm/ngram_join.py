@@ -374,11 +374,11 @@ def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text
     few = tabled(sifted(few.where(_may_link(percent)).groupBy("x", "y").agg(F.count("*").alias("c")), sketches, percent), "few")
     to_hub = in_long.where(f"name <> hub and 100 * least(n, hub_n) >= {percent} * greatest(n, hub_n)").select(F.greatest("name", "hub").alias("x"), F.least("name", "hub").alias("y"))
     to_hub = tabled(sifted(to_hub.groupBy("x", "y").agg(F.count("*").alias("c")), sketches, percent), "to_hub")
-    # Each set is first compared with the one that it shares most lists with, then the members of long lists with hubs of another component, then whatever still joins two components.
+    # Each set is first compared with the hubs of its long lists and the one that it shares most lists with; then whatever still joins two components is.
     either = few.union(to_hub)
     both = either.select(F.col("x").alias("name"), F.struct("c", F.col("y").alias("other")).alias("b")).union(either.select("y", F.struct("c", F.col("x").alias("other"))))
     best = both.groupBy("name").agg(F.max("b").alias("b")).select(F.col("name").alias("x"), F.col("b.other").alias("y"))
-    first = checkpointed(_ordered(best).distinct())
+    first = checkpointed(_ordered(best).union(to_hub.select("x", "y")).distinct())
     ends = lambda pairs: pairs.select(F.col("x").alias("name")).union(pairs.select("y")).distinct()
     named = checkpointed(ends(either))
     sets = sets_of(docs, profiled, named, id_col, text_col, n)
@@ -389,8 +389,6 @@ def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text
         return joined.where("coalesce(xr, x) <> coalesce(yr, y)").select("x", "y")
 
     links = checkpointed(verified(first, sets, percent))
-    hubs = checkpointed(apart(to_hub, components(links, "x", "y")).join(first, ["x", "y"], "left_anti"))
-    links = checkpointed(links.unionByName(verified(hubs, sets, percent)))
     roots = components(links, "x", "y")
     root_of = lambda side: roots.select(F.col("node").alias(side + "n"), F.col("root").alias(side + "r"))
     member = in_long.select("sig", "name", "n", "r", "hub", "smallest").join(root_of("x"), F.col("name") == F.col("xn"), "left").join(root_of("y"), F.col("hub") == F.col("yn"), "left")
@@ -403,7 +401,7 @@ def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text
     more = _ordered(asked.join(others, ["sig", "ny"]).where(f"xr <> yr and {_may_link(percent)}"))
     more = sifted(more.distinct().withColumn("c", F.lit(0).cast("long")), sketches, percent).select("x", "y")
     later = apart(few, roots).union(more).distinct()
-    second = checkpointed(later.join(first.union(hubs), ["x", "y"], "left_anti"))
+    second = checkpointed(later.join(first, ["x", "y"], "left_anti"))
     unknown = checkpointed(ends(second).join(named, "name", "left_anti"))
     if not unknown.isEmpty():
         sets = sets.unionByName(sets_of(docs, profiled, unknown, id_col, text_col, n))
