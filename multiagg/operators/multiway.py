@@ -8,7 +8,8 @@ branch value, the products go straight into a partial hash aggregation, and the
 its count at one again behind each branch; arm entries of sibling arms meet on (source, trail),
 the trail's own weight is multiplied once, then its last level is dropped.
 
-`source_batches` runs slices of the sources one after the other, which caps the state.
+`source_batches` stores the arms below the source once, then runs slices of the sources one after the
+other, each as a job of its own that appends its groups, which caps the state.
 `packed` walks a small graph in the tasks; the graph's size is checked before it is broadcast, and
 `multiway_aggregate` hands a larger one over to `shared_arms`.
 """
@@ -26,6 +27,7 @@ from pyspark.sql import functions as F
 
 from multiagg.operators.algebra import M
 from multiagg.operators.graph import DataGraph, added, load_graph, multiplied, reduce_graph
+from multiagg.operators.measure import scratch_dir
 from multiagg.plans.spec import COPY, GroupedJoinSpec, SpecError, normalize_spec
 from multiagg.plans.tree import Node, build_hypergraph, classify, decompose
 
@@ -47,14 +49,15 @@ def depth(n: Node) -> int:
 
 
 def in_order(n: Node) -> list[Node]:
-    """Longest trails first; AQE picks the method of each join from measured sizes."""
-    return sorted(n.children, key=lambda c: (-depth(c), c.name))
+    """The order that the costs have found, else longest trails first; AQE picks the method of each join from measured sizes."""
+    return sorted(n.children, key=lambda c: (n.order.index(c.name) if c.name in n.order else len(n.order), -depth(c), c.name))
 
 
-def arm(graph: DataGraph, n: Node, edges: DataFrame | None = None) -> DataFrame:
+def arm(graph: DataGraph, n: Node, edges: DataFrame | None = None, known: dict[str, DataFrame] | None = None) -> DataFrame:
     """What hangs on a relation: (join value above, group values below, annotations), added up.
 
     A join value is dropped, and rows that then agree are added, as soon as no open arm needs it.
+    `edges` stands for the relation's own, `known` has arms that are made already.
     """
     table, open_, have = edges if edges is not None else graph.edges[n.name], in_order(n), [*n.group, *graph.algebra.extra_groups(n.name)]
     needed = lambda: list(dict.fromkeys([*n.up, *(a for c in open_ for a in c.up), *have]))
@@ -62,7 +65,8 @@ def arm(graph: DataGraph, n: Node, edges: DataFrame | None = None) -> DataFrame:
         c = open_.pop(0)
         before = set(table.columns)
         have += carried(graph, c)
-        table = multiplied(graph, table, arm(graph, c), list(c.up), needed())
+        below = known[c.name] if known and c.name in known else arm(graph, c)
+        table = multiplied(graph, table, below, list(c.up), needed())
         if open_ and not before - graph.algebra.have(list(before)) <= set(needed()):
             table = added(graph, table, needed())
     return added(graph, table, needed())
@@ -151,19 +155,25 @@ def trail_join(left: DataFrame, right: DataFrame, source: list[str], left_levels
     return joined.drop(*gone)
 
 
-def sliced(graph: DataGraph, batches: int, inner=shared_arms) -> list[DataFrame]:
+def sliced(graph: DataGraph, batches: int, known: dict[str, DataFrame] | None = None) -> list[DataFrame]:
     """One result per slice of the sources; every group belongs to one slice, so they only need to be appended."""
-    src = list(graph.tree.group)
-    out = []
-    for i in range(batches):
-        mine = dict(graph.edges)
-        mine[graph.tree.name] = graph.edges[graph.tree.name].where(F.pmod(F.xxhash64(*src), F.lit(batches)) == i)
-        out.append(inner(DataGraph(graph.spec, graph.tree, graph.algebra, mine)))
-    return out
+    n = graph.tree
+    which = F.pmod(F.xxhash64(*n.group), F.lit(batches))
+    return [arm(graph, n, graph.edges[n.name].where(which == i), known) for i in range(batches)]
 
 
-def source_batches(graph: DataGraph, batches: int = 4, inner=shared_arms) -> DataFrame:
-    return reduce(DataFrame.unionByName, sliced(graph, batches, inner))
+def source_batches(graph: DataGraph, batches: int = 4) -> DataFrame:
+    """The slices' results, each run and written before the next one starts; they share the stored arms."""
+    n = graph.tree
+    spark = graph.edges[n.name].sparkSession
+    at = scratch_dir(spark)
+
+    def stored(df: DataFrame, name: str) -> DataFrame:
+        df.write.mode("append").parquet(f"{at}/{name}")
+        return spark.read.schema(df.schema).parquet(f"{at}/{name}")
+
+    known = {c.name: stored(arm(graph, c), f"arm{i}") for i, c in enumerate(n.children)}
+    return [stored(df, "result") for df in sliced(graph, batches, known)][-1]
 
 
 class PackedGraph:
@@ -246,7 +256,7 @@ def packed_or_shared(graph: DataGraph) -> DataFrame:
 def finish(graph: DataGraph, table: DataFrame, sort: bool = False) -> DataFrame:
     """Result columns under their own names: distinct counts, averages, `having`, order."""
     spec, a = graph.spec, graph.algebra
-    groups = [g for g in carried(graph, graph.tree) if g not in {m for n in graph.tree.walk() for m in a.extra_groups(n.name)}]
+    groups = spec.groups
     if a.distinct:
         extra = [(F.count_distinct if d.kind == "count_distinct" else F.approx_count_distinct)(d.over[0][1]).alias(d.alias) for d in a.distinct]
         table = table.groupBy(*groups).agg(*(c.alias(k) for k, c in a.plus(a.have(table.columns)).items()), *extra)
@@ -258,25 +268,32 @@ def finish(graph: DataGraph, table: DataFrame, sort: bool = False) -> DataFrame:
     return out.orderBy(*names.values()) if sort else out
 
 
-def prepared(spec: GroupedJoinSpec, root: str | None = None, pre_aggregate: bool = True, reduce_first: bool = False) -> DataGraph:
+def prepared(spec: GroupedJoinSpec, root: str | None = None, pre_aggregate: bool = True, reduce_first: bool = False, tree: Node | None = None) -> DataGraph:
     spec = normalize_spec(spec)
-    graph = load_graph(spec, decompose(build_hypergraph(spec), root), pre_aggregate)
+    graph = load_graph(spec, tree or decompose(build_hypergraph(spec), root), pre_aggregate)
     return reduce_graph(graph) if reduce_first else graph
 
 
-def multiway_aggregate(spec: GroupedJoinSpec, strategy: str = "auto", root: str | None = None, sort: bool = False, batches: int = 4, cache_trails: bool = True, reduce_first: bool = False, pre_aggregate: bool = True) -> DataFrame:
-    """The operator. `auto` weighs the exact size of the join against the edges and may hand over to the classic plan."""
-    if strategy == "auto":
-        from multiagg.plans.cost import choose_strategy
+def multiway_aggregate(spec: GroupedJoinSpec, strategy: str = "auto", root: str | None = None, sort: bool = False, batches: int | None = None, cache_trails: bool = True, reduce_first: bool = False, pre_aggregate: bool = True) -> DataFrame:
+    """The operator. `auto` weighs the exact size of the join and the estimated work of the strategies, and may hand over to a classic or a pre-aggregating plan.
 
-        strategy = choose_strategy(spec).strategy
-    if strategy == "traditional":
-        from multiagg.operators.baselines import traditional
+    Without a given `root`, `shared_arms` and `source_batches` take the tree of least estimated work.
+    """
+    from multiagg.plans.cost import best_tree, choose_strategy
 
-        out = traditional(spec)
+    tree = None
+    if strategy == "auto":
+        choice = choose_strategy(spec)
+        strategy, tree, batches = choice.strategy, None if root else choice.tree, batches or choice.batches
+    elif strategy in ("shared_arms", "source_batches") and root is None:
+        tree = best_tree(spec, sources_only=strategy == "source_batches")
+    if strategy in ("traditional", "preagg_every"):
+        from multiagg.operators.baselines import preaggregate, traditional
+
+        out = traditional(spec) if strategy == "traditional" else preaggregate(spec)
         return out.orderBy(*spec.groups) if sort else out
-    graph = prepared(spec, root, pre_aggregate, reduce_first)
-    run = {"shared_arms": shared_arms, "per_source": lambda g: per_source(g, cache_trails), "source_batches": lambda g: source_batches(g, batches), "packed": packed_or_shared}
+    graph = prepared(spec, root, pre_aggregate, reduce_first, tree)
+    run = {"shared_arms": shared_arms, "per_source": lambda g: per_source(g, cache_trails), "source_batches": lambda g: source_batches(g, batches or 4), "packed": packed_or_shared}
     if strategy not in run:
         raise SpecError(f"no strategy {strategy}")
     return finish(graph, run[strategy](graph), sort)

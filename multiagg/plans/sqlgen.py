@@ -12,6 +12,17 @@ def _source(rel) -> str:
     return f"SELECT {', '.join(f'{e} AS {k}' for k, e in every.items())} FROM {rel.table}{where}"
 
 
+def edges_sql(spec: GroupedJoinSpec) -> dict[str, str]:
+    """The weighted edges of each relation: its attributes and the multiplicity m."""
+    spec = normalize_spec(spec)
+    out = {}
+    for r in spec.relations:
+        joins = " AND ".join(f"{a} IS NOT NULL" for a in r.attrs if a in spec.join_attrs)
+        keys = ", ".join(r.attrs)
+        out[r.name] = f"SELECT {keys}, CAST(count(*) AS BIGINT) AS m FROM ({_source(r)}) AS t WHERE {joins} GROUP BY {keys}"
+    return out
+
+
 def plain_sql(spec: GroupedJoinSpec) -> str:
     """Join everything, then group."""
     tree = decompose(build_hypergraph(spec := normalize_spec(spec)))
