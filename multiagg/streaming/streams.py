@@ -7,6 +7,9 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
+
+from multiagg.operators.measure import scratch_dir
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files_per_batch: int = 1) -> DataFrame:
@@ -55,11 +58,31 @@ def user_state(stream: DataFrame, key: str = "user_id") -> DataFrame:
     return stream.groupBy(key).applyInPandasWithState(step, f"{key} long, n long, most double", "n long, most double", "update", "NoTimeout")
 
 
-def run_to_table(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Run over all that is there now, into a table in memory; for tests and small results."""
-    query = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
+def run_to_table(df: DataFrame, name: str, mode: str = "complete", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Run over all that is there now, into Parquet files in the shared folder, and read them.
+
+    Of `complete` results the last one stands; of `update` ones the latest row of each of `keys`.
+    Batches are written under their number, so one that is run again replaces what it had written.
+    """
+    spark = df.sparkSession
+    at, seen = scratch_dir(spark), []
+    out, writer = f"{at}/{name}", df.writeStream.outputMode(mode).option("checkpointLocation", f"{at}/progress").trigger(availableNow=True)
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={number % 2 if mode == 'complete' else number}")
+        seen.append(number)
+
+    query = writer.format("parquet").start(out) if mode == "append" else writer.foreachBatch(keep).start()
     query.awaitTermination()
-    return df.sparkSession.table(name)
+    if mode == "append":
+        return spark.read.schema(df.schema).parquet(out)
+    if not seen:
+        return spark.createDataFrame([], df.schema)
+    if mode == "complete":
+        return spark.read.schema(df.schema).parquet(f"{out}/batch={seen[-1] % 2}")
+    rows = spark.read.schema(StructType([*df.schema.fields, StructField("batch", LongType())])).parquet(out)
+    latest = rows.groupBy(*keys).agg(F.max_by(F.struct(*df.columns), "batch").alias("row"))
+    return latest.select("row.*")
 
 
 class MaintainedPairs:
@@ -67,26 +90,47 @@ class MaintainedPairs:
 
     Counts are linear in each side, so a batch with edges D on top of state E adds E*D + D*E + D*D.
     State and result are written per batch under its number: a batch that is run again replaces
-    what it had written, so each counts once.
+    what it had written, so each counts once. Every few batches what came before is merged, so that
+    a batch reads one merged state and a bounded number of others.
     """
 
-    def __init__(self, spark: SparkSession, path: str, on: str, group: str):
-        self.spark, self.path, self.on, self.group = spark, path, on, group
-
-    def _parts(self, what: str, before: int | None = None) -> DataFrame | None:
-        try:
-            df = self.spark.read.parquet(f"{self.path}/{what}")
-        except Exception as e:
-            if "PATH_NOT_FOUND" in str(e) or "UNABLE_TO_INFER_SCHEMA" in str(e):
-                return None
-            raise
-        return df if before is None else df.where(F.col("batch") < before)
+    def __init__(self, spark: SparkSession, path: str, on: str, group: str, every: int = 16):
+        self.spark, self.path, self.on, self.group, self.every = spark, path, on, group, every
+
+    def _folders(self, what: str, label: str) -> dict[int, object]:
+        """Finished folders `what/label=n` by n."""
+        sc = self.spark.sparkContext
+        found = sc._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{what}/{label}=*/_SUCCESS")
+        fs = found.getFileSystem(sc._jsc.hadoopConfiguration())
+        return {int(s.getPath().getParent().getName().split("=")[1]): (fs, s.getPath().getParent()) for s in fs.globStatus(found) or []}
+
+    def _state(self, what: str, before: int | None = None) -> DataFrame | None:
+        """What has been merged last, and the batches since."""
+        bases = [n for n in self._folders(what + "_merged", "upto") if before is None or n <= before]
+        base = max(bases, default=0)
+        paths = [f"{self.path}/{what}_merged/upto={base}"] if bases else []
+        paths += [f"{self.path}/{what}/batch={n}" for n in sorted(self._folders(what, "batch")) if n >= base and (before is None or n < before)]
+        return self.spark.read.parquet(*paths) if paths else None
+
+    def _merge(self, number: int) -> None:
+        """Add up all before this batch, then drop what went into the sum."""
+        for what, keys, value in (("edges", ("k", "g"), "m"), ("pairs", ("g1", "g2"), "c")):
+            state = self._state(what, number)
+            if state is not None and number not in self._folders(what + "_merged", "upto"):
+                state.groupBy(*keys).agg(F.sum(value).alias(value)).write.mode("overwrite").parquet(f"{self.path}/{what}_merged/upto={number}")
+        for what in ("edges", "pairs"):
+            for label, folder in (("batch", what), ("upto", what + "_merged")):
+                for n, (fs, path) in self._folders(folder, label).items():
+                    if n < number:
+                        fs.delete(path, True)
 
     def apply(self, batch: DataFrame, number: int) -> None:
+        if number and number % self.every == 0:
+            self._merge(number)
         delta = batch.groupBy(F.col(self.on).alias("k"), F.col(self.group).alias("g")).agg(F.count("*").alias("m")).persist()
         pair = lambda a, b: a.join(b.select("k", F.col("g").alias("g2"), F.col("m").alias("m2")), "k").select(F.col("g").alias("g1"), "g2", (F.col("m") * F.col("m2")).alias("c"))
         made = pair(delta, delta)
-        state = self._parts("edges", number)
+        state = self._state("edges", number)
         if state is not None:
             old = state.groupBy("k", "g").agg(F.sum("m").alias("m"))
             made = made.unionByName(pair(old, delta)).unionByName(pair(delta, old))
@@ -100,4 +144,4 @@ class MaintainedPairs:
         return self.result()
 
     def result(self) -> DataFrame:
-        return self._parts("pairs").groupBy("g1", "g2").agg(F.sum("c").alias("cnt"))
+        return self._state("pairs").groupBy("g1", "g2").agg(F.sum("c").alias("cnt"))
