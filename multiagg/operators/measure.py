@@ -93,7 +93,7 @@ def measure(df: DataFrame) -> Cost:
         p.resetPeakUsage()
     gc, at = _gc_ms(spark), time.perf_counter()
     collected = df.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64(*df.columns)).alias("h"))  # the hash needs every column
-    rows = collected.first()[0]
+    rows = collected.collect()[0][0]  # first() would run a plan of its own, which metrics are not read from
     took = time.perf_counter() - at
     peak = sum(p.getPeakUsage().getUsed() for p in _pools(spark) if "HEAP" in str(p.getType()).upper())
     return Cost(took, rows, _gc_ms(spark) - gc, int(peak), plan_metric(collected, "peakMemory"), max_intermediate(collected))
@@ -110,6 +110,38 @@ def compare(spec: GroupedJoinSpec, strategies: tuple[str, ...]) -> DataFrame:
     return spark.createDataFrame(rows, "strategy string, seconds double, gc_ms long, peak_mb double, rows long, most_rows_between long, speed_up double")
 
 
+def load_and_compute(spec: GroupedJoinSpec) -> tuple[float, Cost]:
+    """Seconds until the edge tables are stored, and the cost of the operator on the stored ones."""
+    from multiagg.operators.graph import DataGraph
+    from multiagg.operators.multiway import finish, prepared, shared_arms
+    from multiagg.plans.cost import best_tree
+
+    spark = spec.relations[0].df.sparkSession
+    at, path = time.perf_counter(), scratch_dir(spark)
+    graph = prepared(spec, tree=best_tree(spec))
+    graph.save(path)
+    took = time.perf_counter() - at
+    graph = DataGraph.open(spark, path, graph.spec, graph.tree)
+    return took, measure(finish(graph, shared_arms(graph)))
+
+
+def growth(specs: dict[str, GroupedJoinSpec], baselines: tuple[str, ...] = ("preagg_every",)) -> DataFrame:
+    """(sample, strategy, seconds, load_seconds, gc_ms, seconds_without_gc, peak_mb, operator_peak_mb, rows, most_rows_between) for growing samples.
+
+    The operator's seconds are those of computing; baselines load as they run.
+    """
+    from multiagg.queries import RUNS
+
+    rows = []
+    for name, spec in specs.items():
+        load, cost = load_and_compute(spec)
+        for how, loaded, c in [("operator", load, cost), *((b, 0.0, measure(RUNS[b](spec))) for b in baselines)]:
+            rows.append((name, how, round(c.seconds, 3), round(loaded, 3), c.gc_ms, round(c.seconds - c.gc_ms / 1000, 3), round(c.peak_bytes / 2**20, 1), round(c.operator_peak_bytes / 2**20, 1), c.rows, c.most_rows_between))
+    spark = next(iter(specs.values())).relations[0].df.sparkSession
+    kinds = "sample string, strategy string, seconds double, load_seconds double, gc_ms long, seconds_without_gc double, peak_mb double, operator_peak_mb double, rows long, most_rows_between long"
+    return spark.createDataFrame(rows, kinds)
+
+
 def group_size(spec: GroupedJoinSpec, result: DataFrame, count: str = "cnt") -> DataFrame:
     """(join_rows, n_groups, mean_size) of a counted result."""
     return result.agg(F.sum(count).alias("join_rows"), F.count("*").alias("n_groups")).withColumn("mean_size", F.round(F.col("join_rows") / F.col("n_groups"), 3))
@@ -118,4 +150,3 @@ def group_size(spec: GroupedJoinSpec, result: DataFrame, count: str = "cnt") ->
 def trail_stats(trails: DataFrame, source: list[str]) -> DataFrame:
     """(n_trails, most_per_source) of a trail or entry table."""
     return trails.groupBy(*source).agg(F.count("*").alias("n")).agg(F.sum("n").alias("n_trails"), F.max("n").alias("most_per_source"))
-

@@ -183,7 +183,7 @@ def measured(t: Tables, shape: str) -> tuple[list[Rel], tuple[str, str]]:
     return rels, ("l1", "x")
 
 
-AGGS = {"count": lambda at: Agg.count(), "sum": lambda at: Agg.sum(*at), "min": lambda at: Agg.min(*at), "max": lambda at: Agg.max(*at), "avg": lambda at: Agg.avg(*at), "count_of": lambda at: Agg.count_of(*at, "present"), "count_distinct": lambda at: Agg.count_distinct(*at)}
+AGGS = {"count": lambda at: Agg.count(), "sum": lambda at: Agg.sum(*at), "min": lambda at: Agg.min(*at), "max": lambda at: Agg.max(*at), "avg": lambda at: Agg.avg(*at), "count_of": lambda at: Agg.count_of(*at, "present"), "count_distinct": lambda at: Agg.count_distinct(*at), "approx_distinct": lambda at: Agg.approx_distinct(*at)}
 
 
 def workload(name: str, spark: SparkSession | None, sf_dir: str, n: int | None = None) -> GroupedJoinSpec:

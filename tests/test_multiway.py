@@ -4,8 +4,8 @@ import pytest
 
 from multiagg.operators.baselines import preaggregate, traditional
 from multiagg.operators.multiway import arm_entries, enumerate_rooted_trees, explain_multiway, multiway_aggregate, per_source, prepared, trail_join, trails
-from multiagg.plans.cost import choose_strategy, join_cardinality
-from multiagg.plans.spec import Agg, GroupedJoinSpec, Rel, SpecError
+from multiagg.plans.cost import best_tree, choose_root, choose_strategy, estimated, gather, join_cardinality, plan_of, predicted
+from multiagg.plans.spec import Agg, GroupedJoinSpec, Rel, SpecError, normalize_spec
 from multiagg.workloads import SHAPES, workload
 
 SF = "/root/testdata/sf0.001"
@@ -171,3 +171,63 @@ def test_published_sizes(spark, name):
 def test_scans_read_relevant_columns_only(spark):
     plan = multiway_aggregate(workload("pairs_suppliers", spark, SF), "shared_arms")._jdf.queryExecution().executedPlan().toString()
     assert "ReadSchema: struct<l_orderkey:bigint,l_suppkey:bigint>" in plan and len(SHAPES) > 25
+
+
+def test_root_of_least_work(spark):
+    spec = workload("syn_b2", spark, SF)
+    stats = gather(normalize_spec(spec))
+    assert estimated(best_tree(spec), stats).rows < estimated(plan_of(spec, "r1"), stats).rows
+    assert choose_root(spec) in ("r3", "r4") and best_tree(workload("pairs_suppliers", spark, SF)) is None
+    want = rows(multiway_aggregate(spec, "shared_arms", root="r1"))
+    assert rows(multiway_aggregate(spec, "shared_arms")) == rows(multiway_aggregate(spec, "shared_arms", root="r2")) == want
+
+
+def test_smaller_arms_come_first(spark):
+    hub = rel(spark, "H", "x y", [(str(i % 7), str(i % 5)) for i in range(35)])
+    big, small = rel(spark, "B", "x g1", [(str(i % 7), str(i)) for i in range(700)], "g1"), rel(spark, "S", "y g2", [(str(i % 5), "one") for i in range(5)], "g2")
+    spec = normalize_spec(GroupedJoinSpec((hub, big, small)))
+    tree = plan_of(spec, "H")
+    estimated(tree, gather(spec))
+    assert tree.order == ["S", "B"]
+
+
+def test_choice_by_work_and_state(spark):
+    spec = workload("syn_b2", spark, SF)
+    assert choose_strategy(spec).strategy == "shared_arms"
+    choice = choose_strategy(spec, state_rows=1000)
+    assert choice.strategy == "source_batches" and choice.batches >= 2 and choice.tree.group
+    assert choose_strategy(spec, gain=1e9).strategy == "preagg_every"
+    assert choose_strategy(workload("tpch_zip", spark, SF), blow_up=100).strategy == "traditional"
+    p = predicted("branch", 500_000, 50, 50_000)
+    assert p["operator"] < p["preaggregate"]
+
+
+def test_slices_run_one_after_the_other(spark, branch, monkeypatch):
+    from multiagg.operators import multiway
+
+    made = []
+    whole = multiway.arm
+    monkeypatch.setattr(multiway, "arm", lambda g, n, *a: made.append(n.name) or whole(g, n, *a))
+    got = multiway.source_batches(prepared(GroupedJoinSpec(tuple(branch)), "R1"), 3)
+    assert made.count("R2") == 1 and made.count("R1") == 3 and got.count() == 3
+
+
+def test_read_through_jdbc(spark):
+    from multiagg.sources.tables import edge_query, load_jdbc
+
+    url, driver = "jdbc:derby:memory:shop", "org.apache.derby.iapi.jdbc.AutoloadedDriver"
+    sold = spark.createDataFrame([(i % 3, i % 5) for i in range(40)], "ORD int, PART int")
+    sold.write.format("jdbc").options(url=url + ";create=true", driver=driver, dbtable="sold").save()
+    got = load_jdbc(spark, url, edge_query("sold", ["ORD", "PART"]), driver=driver)
+    assert rows(got) == rows(sold.groupBy("ORD", "PART").count())
+    parts = load_jdbc(spark, url, "SELECT ORD, PART FROM sold", "PART", (0, 5), 3, driver=driver)
+    assert rows(parts) == rows(sold) and parts.rdd.getNumPartitions() == 3
+
+
+def test_new_measures(spark):
+    from multiagg.operators.measure import growth
+
+    got = growth({"p1": workload("syn_p1", spark, SF)}).collect()
+    assert [r["strategy"] for r in got] == ["operator", "preagg_every"] and got[0]["rows"] == got[1]["rows"] > 0
+    assert got[0]["load_seconds"] > 0 and got[0]["peak_mb"] > 0
+    assert all(r["most_rows_between"] > 0 and r["operator_peak_mb"] > 0 for r in got)

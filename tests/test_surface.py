@@ -32,3 +32,19 @@ def test_entry_imports_and_names_match():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_maintained_pairs_merge_their_state(spark, tmp_path):
+    from multiagg.streaming.streams import MaintainedPairs
+
+    data = [[(str(i % 3), "ab"[j % 2]) for i in range(j + 2)] for j in range(7)]
+    kept = MaintainedPairs(spark, str(tmp_path / "pairs"), "k", "g", every=3)
+    frames = [spark.createDataFrame(x, "k string, g string") for x in data]
+    for i, f in enumerate(frames):
+        kept.apply(f, i)
+        if i in (3, 6):
+            kept.apply(f, i)  # a batch that is run again counts once
+    every = spark.createDataFrame([r for x in data for r in x], "k string, g string")
+    want = every.alias("a").join(every.alias("b"), "k").selectExpr("a.g as g1", "b.g as g2").groupBy("g1", "g2").count()
+    assert rows(kept.result()) == rows(want)
+    assert sorted(kept._folders("edges", "batch")) == [6] and sorted(kept._folders("pairs_merged", "upto")) == [6]
