@@ -11,7 +11,7 @@ its size is fixed by `FEATURES`. Texts are read in one pass without a shuffle.
 
 Defined results: a null text counts as empty and has no spans. Offsets are code points, ends
 exclusive. A span of the field that touches one of the patterns' is left out. Repeated rows are
-handled each by itself.
+handled each by itself, and an empty table gives no row.
 """
 
 from __future__ import annotations

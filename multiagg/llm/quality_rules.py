@@ -6,6 +6,7 @@ the bits only, never the text.
 
 Defined results: a null text has no words and fails `few_words`. Lines are split at \\n alone
 and words at ASCII white space alone. Other columns of the table pass through untouched.
+Repeated rows are judged each by itself, a long text as a whole; an empty table gives an empty ledger.
 """
 
 from __future__ import annotations

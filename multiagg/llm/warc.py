@@ -8,7 +8,8 @@ and an archive is divided by order, so no node gathers more than `FAN_OUT` rows.
 
 Defined results: a record that one replica lacks is reported as missing there. A null payload is
 an empty one, a null URL an empty URI. Archives without records have no root. Repeated rows are
-records of their own.
+records of their own. An empty table gives no row; columns that are not named are not read, whatever
+they are called.
 """
 
 from __future__ import annotations

@@ -193,6 +193,26 @@ def test_packing(docs, none):
     assert pack(none).count() == 0
 
 
+def test_rules_on_empty_repeated_and_long_texts(spark, none):
+    from multiagg.llm.quality_rules import ablations, drop_low_quality, ledger
+
+    assert ledger(none.drop("n_chars")).count() == 0 and drop_low_quality(none).count() == 0
+    assert all(r["n_docs"] == 0 for r in ablations(ledger(none).select("ledger.failed")).collect())
+    long_ = " ".join(f"word{i}" for i in range(60_000))
+    rows = spark.createDataFrame([(1, long_, 5), (2, "few", 6), (2, "few", 6)], "doc_id long, text string, failed int")
+    found = ledger(rows).select("doc_id", "failed", "ledger.n_words", "ledger.n_repeat_words")
+    assert got(found, "doc_id", "failed", "n_words", "n_repeat_words") == Counter({(1, 5, 60_000, 0): 1, (2, 6, 1, 0): 2})
+
+
+def test_audit_of_pages_with_other_columns(spark):
+    from multiagg.llm.warc import damaged, fixity
+
+    pages = spark.createDataFrame([(i % 9, f"http://a/{i % 9}", "<p>x</p>", "s", b"r", 7) for i in range(30)], "page_id long, url string, html string, state string, record binary, seq long")
+    plain = pages.select("page_id", "url", "html")
+    assert got(fixity(pages, damaged(pages)), "record_id", "state") == got(fixity(plain, damaged(plain)), "record_id", "state")
+    assert fixity(pages, pages).count() == 30 and fixity(pages.where("false"), pages.where("false")).count() == 0
+
+
 def test_pii(docs, none):
     from multiagg.llm.pii import TAGS, active_runs, features, labelled_table, model, redact, span_digests
 
@@ -211,6 +231,31 @@ def test_pii(docs, none):
     assert right / total > 0.97
 
 
+def test_base_patterns_by_brute_force():
+    import re
+
+    from multiagg.llm.pii import KINDS, base_spans
+
+    digits = lambda x: [int(c) for c in x if c in "0123456789"]
+    luhn = lambda d: sum(x if i % 2 == 0 else sum(divmod(2 * x, 10)) for i, x in enumerate(reversed(d))) % 10 == 0
+    # fixed values: the patterns of the contract
+    kinds = (
+        ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda x: True),
+        ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda x: all(int(p) <= 255 for p in x.split("."))),
+        ("card", r"[0-9]([\x20-]?[0-9])+", lambda x: 14 <= len(digits(x)) <= 19 and luhn(digits(x))),
+        ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", lambda x: 10 <= len(digits(x)) <= 15),
+    )
+    rng = random.Random(9)
+    texts = ["".join(rng.choice(letters) for _ in range(rng.randrange(60))) for letters in ("a1@.-", "12.5 ", "0123456789 -", "+12 ().-", "é٣a@.1+ -\n") for _ in range(1500)]
+    texts += ["4111 1111 1111 1111", "41111111111111 +1 415 555 0134", "a@b.c.d-e@f.g", "1.2.3.4.5.6.7.8", "256.1.1.1 01.002.3.255"]
+    seen = Counter()
+    for text in texts:
+        want = sorted((m.start(), k, m.end()) for k, (_, pattern, good) in enumerate(kinds) for m in re.finditer(pattern, text) if good(m[0]))
+        assert sorted(tuple(x) for x in base_spans(text)) == want, text
+        seen.update(KINDS[k] for _, k, _ in want)
+    assert set(seen) == {"email", "ip", "card", "phone"}
+
+
 def test_decoding_is_the_best_path():
     from itertools import product
 
