@@ -2,6 +2,11 @@
 
 Each stage takes (spark, docs, sf_dir) and returns a table; all but the last return the columns of
 `docs`. `run` writes each stage's result to the shared folder and reads it again for the next.
+
+Defined results: a null text is an empty one. Quality rules reject it, as they do a text of under ten
+words; of equal texts the row with the largest doc_id stays, of near copies one row of each component;
+personal data replaces spans and leaves other texts alone; packing places each token of what is left
+once. Rows that repeat are equal texts. An empty table gives an empty one at each stage.
 """
 
 from __future__ import annotations
@@ -43,7 +48,7 @@ def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("quality_rules", quality_rules), ("exact_dedup", exact_dedup), ("near_dedup", near_dedup), ("personal_data", personal_data), ("packing", packing)]
 
-#: Shingle components, the chain field and the tokenizer are beyond SQL; tests hold each stage against a brute-force version.
+#: Shingle components, the chain field and the tokenizer are beyond SQL. Tests hold the operators against brute-force versions, and the stages by what they keep.
 ORACLE_SQL = None
 
 
