@@ -23,3 +23,16 @@ def by_sql(text, tables=("lineitem",), folder=SF):
 def test_drawn_relations_follow_their_sql_at_every_size(spark, name):
     got = sorted((tuple(r) for r in entry.queries()[name](spark, SF).collect()), key=repr)
     assert got == by_sql(entry.oracle_sql()[name])
+
+
+def test_a_join_beyond_long_may_have_groups_that_fit(spark):
+    from multiagg.operators.multiway import multiway_aggregate
+    from multiagg.plans.cost import choose_strategy
+    from multiagg.plans.spec import GroupedJoinSpec, Rel
+
+    many = spark.range(300).selectExpr("id as g", "1 as j", "'x' as b")
+    same = spark.range(20000).selectExpr("1 as j", "'x' as b")
+    rels = [Rel("r0", many, {"g": "g", "j": "j"}, ("g",)), *(Rel(f"r{i}", same, {"j": "j"}) for i in (1, 2, 3)), Rel("r4", spark.range(50000).selectExpr("1 as j"), {"j": "j"})]
+    spec = GroupedJoinSpec(tuple(rels))
+    assert choose_strategy(spec).join_rows > 2**63
+    assert {r["cnt"] for r in multiway_aggregate(spec).collect()} == {20000**3 * 50000}
