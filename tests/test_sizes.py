@@ -36,3 +36,18 @@ def test_a_join_beyond_long_may_have_groups_that_fit(spark):
     spec = GroupedJoinSpec(tuple(rels))
     assert choose_strategy(spec).join_rows > 2**63
     assert {r["cnt"] for r in multiway_aggregate(spec).collect()} == {20000**3 * 50000}
+
+
+def test_ears_are_folded_without_adding_up_between_them(spark):
+    from multiagg.operators.measure import plan_nodes
+    from multiagg.operators.multiway import prepared
+    from multiagg.plans.cost import join_size, ungrouped
+    from multiagg.plans.spec import GroupedJoinSpec, Rel
+
+    rows = spark.range(3000).selectExpr("id % 11 as j", "id % 13 as b")
+    spec = GroupedJoinSpec((Rel("a", rows, {"j": "j"}), Rel("mid", rows, {"j": "j", "b": "b"}), Rel("c", rows, {"b": "b"}), Rel("d", rows, {"b": "b"})))
+    want = rows.alias("m").join(rows.alias("a"), "j").groupBy("m.b").count().collect()
+    n = {r["b"]: r["count"] for r in rows.groupBy("b").count().collect()}
+    assert join_size(spec) == sum(r["count"] * n[r["b"]] ** 2 for r in want)
+    plan = prepared(ungrouped(spec)).edges["a"]
+    assert len([1 for name, _ in plan_nodes(plan) if "HashAggregate" in name]) <= 2 * 6
