@@ -63,3 +63,13 @@ def test_counts_beyond_doubles_are_exact_and_overflow_is_an_error(monkeypatch, t
     assert multiply([(1, "a", 2**62)], [(1, "b", 1)]) == {("a", "b"): 2**62}
     with pytest.raises(ArithmeticError):
         multiply([(1, "a", 2**40)], [(1, "b", 2**40)])
+
+
+def test_a_product_that_is_not_added_up_yet_stays_where_it_is(spark):
+    from multiagg.operators.measure import plan_nodes
+
+    rows = spark.range(400).selectExpr("id % 20 as g", "id % 7 as j")
+    spec = GroupedJoinSpec(tuple(Rel(x, rows, {f"g{x}": "g", "j": "j"}, (f"g{x}",)) for x in "abc"))
+    made = preaggregate(spec, "inputs")
+    assert not [1 for name, _ in plan_nodes(made) if "MapInArrow" in name]
+    assert sorted(map(tuple, made.select("ga", "gb", "gc", "cnt").collect())) == sorted(map(tuple, traditional(spec).select("ga", "gb", "gc", "cnt").collect()))
