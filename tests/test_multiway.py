@@ -231,3 +231,21 @@ def test_new_measures(spark):
     assert [r["strategy"] for r in got] == ["operator", "preagg_every"] and got[0]["rows"] == got[1]["rows"] > 0
     assert got[0]["load_seconds"] > 0 and got[0]["peak_mb"] > 0
     assert all(r["most_rows_between"] > 0 and r["operator_peak_mb"] > 0 for r in got)
+
+
+def test_arms_go_on_with_the_values_they_start_from(spark):
+    """A hub of two arms: the inner one is walked from each source and its own value, not from each pair of both arms' values."""
+    from multiagg.operators.measure import plan_nodes
+
+    hub = spark.range(8000).selectExpr("id % 2 as x", "id % 80 as y", "id div 80 as z")
+    spec = GroupedJoinSpec((
+        Rel("S", spark.range(4).selectExpr("id as g0", "id % 2 as x"), {"g0": "g0", "x": "x"}, ("g0",)), Rel("H", hub, {"x": "x", "y": "y", "z": "z"}),
+        Rel("M", spark.range(400).selectExpr("id % 80 as y", "id % 5 as w"), {"y": "y", "w": "w"}), Rel("L1", spark.range(20).selectExpr("id % 5 as w", "id % 4 as g1"), {"w": "w", "g1": "g1"}, ("g1",)),
+        Rel("L2", spark.range(100).selectExpr("id as z", "id % 3 as g2"), {"z": "z", "g2": "g2"}, ("g2",)),
+    ))
+    want = rows(traditional(spec))
+    made = per_source(prepared(spec))
+    assert rows(made.select(*traditional(spec).columns[:-1], "__m")) == want
+    whole = trails(prepared(spec))[0]
+    shuffled = lambda df: (df.collect(), sum(int(p.metrics().get("shuffleRecordsWritten").get().value()) for name, p in plan_nodes(df) if name == "ShuffleExchangeExec"))[1]
+    assert shuffled(made) < shuffled(whole) / 2
