@@ -249,3 +249,15 @@ def test_arms_go_on_with_the_values_they_start_from(spark):
     whole = trails(prepared(spec))[0]
     shuffled = lambda df: (df.collect(), sum(int(p.metrics().get("shuffleRecordsWritten").get().value()) for name, p in plan_nodes(df) if name == "ShuffleExchangeExec"))[1]
     assert shuffled(made) < shuffled(whole) / 2
+
+
+def test_large_relations_are_not_broadcast(spark, monkeypatch):
+    from multiagg.operators import baselines
+
+    monkeypatch.setattr(baselines, "BROADCAST_ROWS", 3)
+    few, many = ([(str(i), str(i % 2)) for i in range(n)] for n in (3, 4))
+    spec = GroupedJoinSpec((rel(spark, "A", "g1 p", many, "g1"), rel(spark, "B", "g2 p", many, "g2"), rel(spark, "C", "g3 p", few, "g3")))
+    made = traditional(spec, "broadcast", "hash")
+    assert rows(made) == rows(traditional(spec, "merge"))
+    hints = made._jdf.queryExecution().analyzed().toString()
+    assert hints.count("ResolvedHint (strategy=broadcast)") == 1
