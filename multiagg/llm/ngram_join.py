@@ -38,9 +38,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from multiagg.llm.common import bitmap, bits_for, checkpointed, col, distinct, fresh, in_bitmap, slices, tabled
+from multiagg.llm.common import batches_of, bitmap, bits_for, checkpointed, col, distinct, fresh, in_bitmap, tabled
 from multiagg.llm.components import components
-from multiagg.llm.spans import MIX, SEGMENT, mixed, stretch_hashes
+from multiagg.llm.spans import MIX, SEGMENT, lean_slices, mixed, stretch_hashes
 
 WORDS = 4
 #: A link: PERCENT of the union is shared.
@@ -50,6 +50,8 @@ FREQUENT = 1 << 18
 FREQUENT_FROM = 3
 SHORT_LIST = 8
 CHUNK_TOKENS = 2_000_000
+#: Rows that go to Python at once: whole texts, or the sets of both ends of a pair.
+BATCH = 1024
 #: Ratio of sizes within which frequent tokens are grouped alike.
 STEP = 1.6
 LOWER = np.arange(256, dtype=np.uint8)
@@ -222,7 +224,7 @@ def frequent_tokens(docs: DataFrame, text_col: str = "text", n: int = WORDS, mos
             repeated = distinct(tokens[again])
             return pd.DataFrame({"token": repeated.view(np.int64), "times": np.searchsorted(tokens, repeated, "right") - np.searchsorted(tokens, repeated)})
 
-        for frame in slices(frames):
+        for frame in lean_slices(frames):
             for tokens in shingle_sets(frame["text"], n):
                 name = set_name(tokens)
                 if name in seen:
@@ -270,7 +272,7 @@ def profiles(docs: DataFrame, frequent: tuple[np.ndarray, np.ndarray], id_col: s
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         seen: set[bytes] = set()
-        for frame in slices(frames):
+        for frame in lean_slices(frames):
             rows = []
             for doc, key, tokens in zip(frame["doc_id"], frame["body_key"], shingle_sets(frame["text"], n)):
                 name = set_name(tokens)
@@ -296,7 +298,7 @@ def sets_of(docs: DataFrame, profiled: DataFrame, names: DataFrame, id_col: str,
     shared = docs.sparkSession.sparkContext.broadcast(bitmap(both, "r", bits_for(both.count())))
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in slices(frames):
+        for frame in lean_slices(frames):
             asked = frame["text"][in_bitmap(frame["r"].to_numpy(dtype=np.int64), shared.value) & in_bitmap(frame["r2"].to_numpy(dtype=np.int64), shared.value)]
             sets = shingle_sets(asked, n)
             yield pd.DataFrame({"name": [set_name(s) for s in sets], "tokens": [s.tobytes() for s in sets]})
@@ -323,7 +325,7 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (x, y) whose whole sets link."""
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in slices(frames):
+        for frame in lean_slices(frames):
             keep = []
             for a, b in zip(frame["tx"], frame["ty"]):
                 p, q = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
@@ -355,7 +357,7 @@ def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text
     shared = docs.sparkSession.sparkContext.broadcast(bitmap(repeated, "sig", bits_for(repeated.count())))
 
     def again(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in slices(frames):
+        for frame in lean_slices(frames):
             hits = [in_bitmap(s, shared.value) for s in frame["signatures"]]
             found = frame.assign(signatures=[s[h] for s, h in zip(frame["signatures"], hits)], reach=[r[h] for r, h in zip(frame["reach"], hits)])
             yield found[[bool(h.any()) for h in hits]]
@@ -410,8 +412,9 @@ def set_links(docs: DataFrame, profiled: DataFrame, id_col: str = "doc_id", text
 
 def rooted_rows(docs: DataFrame, id_col: str, text_col: str, n: int, percent: int, most: int) -> DataFrame:
     """doc_id, n_shingles, component_id, body_key, and the component's root, which no other component has whatever the ids."""
-    profiled = tabled(profiles(docs, frequent_tokens(docs, text_col, n, most), id_col, text_col, n, percent), "profiles")
-    roots = components(set_links(docs, profiled, id_col, text_col, n, percent), "x", "y").withColumnRenamed("node", "name")
+    with batches_of(docs.sparkSession, BATCH):  # all that runs Python is run in here
+        profiled = tabled(profiles(docs, frequent_tokens(docs, text_col, n, most), id_col, text_col, n, percent), "profiles")
+        roots = components(set_links(docs, profiled, id_col, text_col, n, percent), "x", "y").withColumnRenamed("node", "name")
     rows = profiled.select("doc_id", "body_key", "n_shingles", "name")
     sets = checkpointed(rows.where("n_shingles > 0").groupBy("name").agg(F.min("doc_id").alias("least_id")))
     rooted = sets.join(roots, "name", "left").withColumn("root", F.coalesce("root", "name"))

@@ -20,6 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from multiagg.llm.common import col, fresh
+from multiagg.llm.spans import forget_codecs
 
 SPACES = " \t\n\r\x0b\x0c"
 SYMBOLS = b"#*$%&|<>"
@@ -92,6 +93,7 @@ def measure_text(text: str | None) -> tuple:
 
 
 def _measure_batch(texts: pd.Series) -> pd.DataFrame:
+    forget_codecs()
     return pd.DataFrame([measure_text(t) for t in texts], columns=list(MEASURES), dtype="int64")
 
 

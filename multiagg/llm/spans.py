@@ -13,8 +13,9 @@ import types
 from collections.abc import Callable, Iterator
 
 import numpy as np
+import pandas as pd
 
-from multiagg.llm.common import powers, runs
+from multiagg.llm.common import give_back, powers, runs, slices
 
 #: Spans are hashed in stretches of about so many bytes.
 SEGMENT = 1 << 20
@@ -33,6 +34,21 @@ def worker_cache(key: str) -> dict:
     return holder.__dict__.setdefault(key, {})
 
 
+def forget_codecs() -> None:
+    """Drop what earlier tasks have kept in this worker process and a task without a codec only carries along."""
+    held = [worker_cache(key) for key in ("codecs", "word codecs", "memos")]
+    if any(held):
+        for h in held:
+            h.clear()
+        give_back()
+
+
+def lean_slices(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """`slices` for a task without a codec."""
+    forget_codecs()
+    yield from slices(frames)
+
+
 def mixed(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
