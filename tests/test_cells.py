@@ -68,3 +68,19 @@ def test_a_branch_leaves_its_tasks_with_whole_sums(spark, monkeypatch, cache):
     made = multiway_aggregate(spec, "per_source", cache_trails=cache).select("g1", "g3", "g4", "cnt")
     assert sorted(map(tuple, made.collect()), key=repr) == want and len(want) == 32**3
     assert measure(made).most_rows_between <= 32**3
+
+
+def test_pairs_are_added_up_where_they_are_made(spark, monkeypatch):
+    monkeypatch.setattr(cells, "PARTS", 0, raising=False)
+    rows = spark.range(9000).selectExpr("id * 7 % 64 as user", "id * 11 % 97 % 50 as k")
+    spec = GroupedJoinSpec(tuple(Rel(f"r{i}", rows, {"k": "k", f"user{i}": "user"}, (f"user{i}",)) for i in (1, 2)))
+    made = multiway_aggregate(spec)
+    by_k = rows.groupBy("user", "k").count().collect()
+    want = {}
+    for a in by_k:
+        for b in by_k:
+            if a["k"] == b["k"]:
+                want[a["user"], b["user"]] = want.get((a["user"], b["user"]), 0) + a["count"] * b["count"]
+    assert {(r["user1"], r["user2"]): r["cnt"] for r in made.collect()} == want
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert plan.index("MapInArrow") < plan.index("Exchange")  # nothing is dealt after the product
